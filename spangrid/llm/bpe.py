@@ -25,6 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .flat import texts_of
+from .tables import widened
 
 #: Fixed value: the public pattern that cuts texts into words before merging.
 WORDS = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
@@ -217,9 +218,7 @@ def encode(df: DataFrame, path: str, text: str = "text", into: str = "ids") -> D
                 yield pa.RecordBatch.from_arrays([*batch.slice(part.row, len(part)).columns, lists], names=[*names, into])
 
     plain = df.toDF(*names)
-    schema = plain.schema.add(into, "array<int>")
-    out = plain.mapInArrow(run, schema)
-    return out.toDF(*df.columns, into)
+    return plain.mapInArrow(run, widened(plain, **{into: "array<int>"})).toDF(*df.columns, into)
 
 
 def decode(df: DataFrame, path: str, ids: str = "ids", into: str = "decoded") -> DataFrame:
@@ -237,7 +236,7 @@ def decode(df: DataFrame, path: str, ids: str = "ids", into: str = "decoded") ->
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array([t.decode() for t in texts], pa.string())], names=[*names, into])
 
     plain = df.toDF(*names)
-    return plain.mapInArrow(run, plain.schema.add(into, "string")).toDF(*df.columns, into)
+    return plain.mapInArrow(run, widened(plain, **{into: "string"})).toDF(*df.columns, into)
 
 
 def digests(docs: DataFrame, path: str) -> DataFrame:

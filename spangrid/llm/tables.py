@@ -35,3 +35,8 @@ def written(df: DataFrame, label: str) -> DataFrame:
 def remainder(doc_id: Column, by: int) -> Column:
     """crc32 of the id as text, modulo ``by``; a null id counts as 0."""
     return F.coalesce(F.pmod(F.crc32(doc_id.cast("string").cast("binary")), F.lit(by)), F.lit(0))
+
+
+def widened(df: DataFrame, **types: str) -> str:
+    """DDL of df's columns and some more; df's own schema stays as it is."""
+    return ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in df.schema.fields), *(f"{k} {v}" for k, v in types.items())])
