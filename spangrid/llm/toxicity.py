@@ -2,7 +2,8 @@
 
 Tokens are runs of ASCII letters and digits and of bytes of longer characters; a chain is a sentence of at most
 CHAIN tokens. Labels mark documents, so tokens are labelled from them first: in toxic documents a token
-counts as toxic if its word or a prefix of it occurs in enough toxic and hardly any clean documents of the sample.
+counts as toxic if its word or a prefix of it occurs in enough toxic and hardly any clean documents of the sample, beside
+enough different neighbours.
 The field then learns which hashed words, prefixes, suffixes and neighbours, and which transitions, go with
 those labels. Forward and backward passes run position by position over all chains of a slice at once; with
 two states each needs one number a token. A small logistic regression turns the marginals of a document (their
@@ -61,6 +62,7 @@ class Tokens:
         before, after = np.zeros(n, np.uint64), np.zeros(n, np.uint64)
         before[1:] = np.where(new[1:], 0, word[:-1] ^ _U(0x1234567))
         after[:-1] = np.where(new[1:], 0, word[1:] ^ _U(0x89ABCDE))
+        self.before, self.after = before, after
         self.features = [(x * _U(0x9E3779B97F4A7C15) >> _U(64 - BITS)).astype(np.int64) for x in (*self.own, tail, before, after)]
         order = np.argsort(-self.len, kind="stable")
         self.head_sorted, size = self.head[order], self.len[order]
@@ -153,15 +155,21 @@ def _token_labels(parts: list[Tokens], toxic: np.ndarray) -> list[np.ndarray]:
     telling = []
     n1, n0 = max(1, int(toxic.sum())), max(1, int((~toxic).sum()))
     for kind in range(kinds):
-        docs, base = [], 0
+        docs, near, base = [], [], 0
         for k in parts:
-            doc = np.repeat(np.arange(len(k.at) - 1), np.diff(k.at))
-            docs.append(np.unique(np.stack([k.own[kind], (doc + base).astype(np.uint64)]), axis=1))
+            doc = np.repeat(np.arange(len(k.at) - 1), np.diff(k.at)) + base
+            docs.append(np.unique(np.stack([k.own[kind], doc.astype(np.uint64)]), axis=1))
+            bad = toxic[doc]
+            near.append(np.stack([k.own[kind][bad], k.before[bad], k.after[bad]]))
             base += len(k.at) - 1
         f, d = np.concatenate(docs, axis=1)
         value, where = np.unique(f, return_inverse=True)
         bad = toxic[d.astype(np.int64)]
         pos, neg = np.bincount(where, bad), np.bincount(where, ~bad)
+        near = np.concatenate(near, axis=1)
+        for side in (1, 2):  # copies of a text repeat a word's neighbours; they count once
+            own = np.unique(near[[0, side]], axis=1)[0]
+            pos = np.minimum(pos, np.bincount(np.searchsorted(value, own), minlength=len(value)))
         odds = (pos / n1) / (pos / n1 + (neg + 0.1) / n0)
         telling.append(value[(pos >= max(LEAST_DOCS, LEAST_SHARE * n1)) & (odds >= PRECISION)])
     out, base = [], 0
