@@ -42,7 +42,7 @@ _powers: dict[str, np.ndarray] = {}
 
 def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     """base**i and base**-i modulo 2**64 for i below n."""
-    if len(_powers.get("up", ())) < n:
+    if "up" not in _powers or len(_powers["up"]) < n:
         size = max(n, SLICE_BYTES + 1)
         for name, b in (("up", _BASE), ("down", _BASE_INV)):
             x = np.full(size, b, np.uint64)
