@@ -12,7 +12,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .flat import BYTE_CODE, LOWER, Texts, mix, per_text, prefix_hash, span_hash, texts_of
+from .flat import BYTE_CODE, LOWER, Texts, mix, prefix_hash, span_hash, texts_of
 
 BITS = 17
 SCALE = 40.0
@@ -50,7 +50,7 @@ class Softmax:
 
     def __init__(self, classes: list):
         self.classes = classes
-        self.w = np.zeros((4, len(classes), 1 << BITS), np.float32)
+        self.w = np.zeros((4, 1 << BITS, len(classes)), np.float32)
         self.b = np.zeros(len(classes))
         self.heat = np.ones(1)
 
@@ -58,8 +58,9 @@ class Softmax:
         out = np.tile(self.b, (len(t), 1))
         for block, (f, at) in enumerate(features(t)):
             n = np.maximum(np.diff(at), 1)
-            for k in range(len(self.classes)):
-                out[:, k] += SCALE * per_text(self.w[block, k][f].astype(np.float64), at, empty=0.0) / n
+            full = np.flatnonzero(n * (at[1:] > at[:-1]))
+            if len(full):
+                out[full] += SCALE * np.add.reduceat(self.w[block][f], at[full], axis=0, dtype=np.float64) / n[full, None]
         return out
 
     def predict(self, t: Texts) -> np.ndarray:
@@ -99,7 +100,7 @@ class Softmax:
                 v[k] += 0.01 * (g * g - v[k])
                 w[k] -= rate * (m[k] / (1 - 0.9**step)) / (np.sqrt(v[k] / (1 - 0.99**step)) + 1e-5)
             self.b -= rate * d.sum(0)
-        self.w = w.reshape(len(self.classes), 4, 1 << BITS).transpose(1, 0, 2).astype(np.float32).copy()
+        self.w = w.reshape(len(self.classes), 4, 1 << BITS).transpose(1, 2, 0).astype(np.float32).copy()
         z = np.concatenate([self.logits(t) for t in texts_of(pa.array([texts[i] for i in held], pa.large_string()))])
         heats = np.geomspace(0.1, 5, 40)
         loss = [np.mean(np.log(np.exp(h * (z - z.max(1, keepdims=True))).sum(1)) - h * (z[np.arange(len(z)), y[held]] - z.max(1))) for h in heats]

@@ -5,11 +5,12 @@ from __future__ import annotations
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, minhash, quality, rangejoin, secrets, sharding, toxicity
+from . import bpe, minhash, mixing, quality, rangejoin, secrets, sharding, suffixtree, toxicity
 from .tables import table
 
 BPE_FILE = "byte_bpe_50k.json"
 SHARDS = 24
+TARGETS = {"en": 0.4, "de": 0.2, "es": 0.2, "fr": 0.2}
 
 
 def op1_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -40,5 +41,13 @@ def op8_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secrets.spans_of_documents(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
 
-QUERIES = {f.__name__: f for f in (op1_bpe, op2_minhash, op3_toxicity, op4_rangejoin, op6_quality, op7_sharding, op8_secrets)}
+def op9_suffixtree(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffixtree.score_documents(table(spark, sf_dir, "documents"))
+
+
+def op10_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mixing.mix_documents(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"), TARGETS)
+
+
+QUERIES = {f.__name__: f for f in (op1_bpe, op2_minhash, op3_toxicity, op4_rangejoin, op6_quality, op7_sharding, op8_secrets, op9_suffixtree, op10_mixing)}
 ORACLES: dict[str, str] = {}
