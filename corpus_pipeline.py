@@ -1,8 +1,52 @@
-"""A corpus pipeline from five of the operators (being built)."""
+"""A corpus pipeline from five of the operators: each stage takes (spark, docs, sf_dir) and returns a DataFrame."""
 
-STAGES: list = []
+from __future__ import annotations
+
+import public_tokenizers
+from pyspark.sql import DataFrame, SparkSession
+
+from spangrid.llm import bpe, minhash, mixing, secrets, toxicity
+from spangrid.llm.queries import BPE_FILE, TARGETS
+from spangrid.llm.tables import table, written
+
+
+def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the toxicity field scores below one half."""
+    return toxicity.reject(docs, table(spark, sf_dir, "labels"))
+
+
+def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each group of near-duplicates (shingles of five words, similarity of 0.8 or more)."""
+    return minhash.keep_one(docs, k=5, least=80)
+
+
+def mask_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The documents with the secrets in their texts masked."""
+    return secrets.redact(docs, table(spark, sf_dir, "labels"))
+
+
+def mix_domains(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Each document as often as the rates for the target weights ask."""
+    return mixing.resample(docs, table(spark, sf_dir, "labels"), TARGETS)
+
+
+def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """doc_id, source and token ids, and the text that the ids decode to."""
+    path = public_tokenizers.path(BPE_FILE)
+    return bpe.decode(bpe.encode(docs.select("doc_id", "source", "text"), path).drop("text"), path).withColumnRenamed("decoded", "text")
+
+
+STAGES = [("toxicity", drop_toxic), ("near_duplicates", drop_near_copies), ("secrets", mask_secrets), ("mixing", mix_domains), ("encoding", encode)]
+
+#: Trained stages have no equivalent in SQL; tests hold the stages against brute force.
 ORACLE_SQL = None
 
 
-def run(spark, sf_dir):
-    return spark.read.parquet(f"{sf_dir}/documents.parquet")
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All stages over the documents, each stage's rows written and read again as the next one's."""
+    docs = table(spark, sf_dir, "documents")
+    for k, (name, stage) in enumerate(STAGES):
+        docs = stage(spark, docs, sf_dir)
+        if k + 1 < len(STAGES):
+            docs = written(docs, name)
+    return docs

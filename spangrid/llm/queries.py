@@ -5,7 +5,7 @@ from __future__ import annotations
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, minhash, mixing, quality, rangejoin, secrets, sharding, suffixtree, toxicity
+from . import bpe, minhash, mixing, quality, rangejoin, secrets, sharding, suffixes, suffixtree, toxicity
 from .tables import table
 
 BPE_FILE = "byte_bpe_50k.json"
@@ -29,6 +29,10 @@ def op4_rangejoin(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rangejoin.near_vectors(table(spark, sf_dir, "embeddings"), 0.95)
 
 
+def op5_suffixes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffixes.remove_repeats(table(spark, sf_dir, "documents")).drop("kept")
+
+
 def op6_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.judge(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
@@ -49,5 +53,5 @@ def op10_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix_documents(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"), TARGETS)
 
 
-QUERIES = {f.__name__: f for f in (op1_bpe, op2_minhash, op3_toxicity, op4_rangejoin, op6_quality, op7_sharding, op8_secrets, op9_suffixtree, op10_mixing)}
+QUERIES = {f.__name__: f for f in (op1_bpe, op2_minhash, op3_toxicity, op4_rangejoin, op5_suffixes, op6_quality, op7_sharding, op8_secrets, op9_suffixtree, op10_mixing)}
 ORACLES: dict[str, str] = {}
