@@ -3,8 +3,9 @@
 One pass over the texts gives each document its set of word shingles, a digest of that set, HASHES minima of which
 only BITS low bits are kept and packed, and band keys from the full minima. Equal sets collapse by digest
 first, so copies cost one row. A band bucket does not pair all its members: each is compared with the
-smallest, and after those links are joined into components only members of different components are still
-paired. Pairs whose packed signatures, corrected for chance collisions, estimate a similarity far below the
+smallest, and those links are joined into components. Of buckets that still hold several components, texts with
+too many shingles of their own (no other open text has them) cannot be linked and drop out; the rest are compared
+with one more member, and only then is every pair left open tried. Pairs whose packed signatures, corrected for chance collisions, estimate a similarity far below the
 threshold are dropped; the others are confirmed by exact intersection and union of the sets.
 
 At 28 bands of 4 minima a pair at similarity 0.8 shares no bucket with probability 4e-7; the estimate's margin is
@@ -140,46 +141,79 @@ def _overlaps(pairs: DataFrame, k: int, least: int) -> DataFrame:
     return pairs.select("a", "b", "ta", "tb").mapInArrow(run, "a long, b long")
 
 
+def _spelt(texts: DataFrame, k: int) -> DataFrame:
+    """(doc_id, shingle): the fingerprints of each text's shingles."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for t in texts_of(batch.column("text")):
+                g, at = shingle_sets(t, k)
+                ids = batch.column("doc_id").slice(t.row, len(t)).take(pa.array(np.repeat(np.arange(len(t)), np.diff(at))))
+                yield pa.RecordBatch.from_arrays([ids, pa.array(g.view(np.int64))], names=["doc_id", "shingle"])
+
+    return texts.select("doc_id", "text").mapInArrow(run, "doc_id long, shingle long")
+
+
 def near_duplicates(docs: DataFrame, k: int = 5, least: int = 80) -> DataFrame:
     """doc_id, n_shingles, component_id and kept of every row of docs (doc_id, text), in shingles of k words; links need
     100 * intersection >= least * union."""
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     f = written(features(rows, k), "features")
     known = f.filter("n_shingles > 0 and doc_id is not null")
-    sets = written(known.groupBy("k1", "k2").agg(F.min("doc_id").alias("rep"), F.first("sig").alias("sig"), F.first("bands").alias("bands")), "sets")
+    sets = written(known.groupBy("k1", "k2").agg(F.min("doc_id").alias("rep"), F.first("n_shingles").alias("size"), F.first("sig").alias("sig"), F.first("bands").alias("bands")), "sets")
     member = sets.select("rep", F.explode("bands").alias("key"))
     buckets = written(member.groupBy("key").agg(F.min("rep").alias("m"), F.max("rep").alias("x")).filter("m <> x").select("key", "m"), "buckets")
-    in_bucket = member.join(buckets, "key")
+    in_bucket = written(member.join(buckets, "key"), "members")
 
     repeats = known.groupBy("doc_id").count().filter("count > 1").limit(1).count()
     texts = rows.filter("doc_id is not null")
     texts = texts.dropDuplicates(["doc_id", "text"]) if repeats else texts
+    sig = lambda c: sets.select(F.col("rep").alias(c), F.col("sig").alias(f"s{c}"))
+    likely = estimate(F.col("sa"), F.col("sb")) >= least / 100 - MARGIN
 
     def confirmed(pairs: DataFrame) -> DataFrame:
-        ends = written(pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct(), "ends")
+        """The pairs (a, b) that are links."""
+        pairs = written(pairs.distinct(), "pairs")
+        if pairs.isEmpty():
+            return pairs
+        ends = pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
         some = written(texts.join(ends, "doc_id", "left_semi"), "texts")
         side = lambda c, t: some.select(F.col("doc_id").alias(c), F.col("text").alias(t))
-        return written(_overlaps(pairs.join(side("a", "ta"), "a").join(side("b", "tb"), "b"), k, least).distinct(), "links")
+        return written(_overlaps(pairs.join(side("a", "ta"), "a").join(side("b", "tb"), "b"), k, least), "links")
+
+    def placed(members: DataFrame, part: DataFrame) -> DataFrame:
+        """The members (key, rep and more), with their components c, of the buckets that hold several components."""
+        own = members.join(part, F.col("rep") == F.col("node"), "left").withColumn("c", F.coalesce("component", "rep")).drop("node", "component")
+        own = written(own, "placed")
+        several = written(own.groupBy("key").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).filter("lo <> hi").select("key"), "open")
+        return own.join(several, "key")
 
-    sig = lambda c: sets.select(F.col("rep").alias(c), F.col("sig").alias(f"s{c}"))
-    likely = estimate(F.col("sa"), F.col("sb")) >= least / 100 - MARGIN
     first = in_bucket.filter("rep <> m").select(F.col("m").alias("a"), F.col("rep").alias("b")).distinct()
-    first = written(first.join(sig("a"), "a").join(sig("b"), "b").filter(likely).select("a", "b"), "pairs")
-    links = confirmed(first)
+    links = confirmed(first.join(sig("a"), "a").join(sig("b"), "b").filter(likely).select("a", "b"))
     part = components(links)
-
-    # what is left: members of one bucket in different components, neither of them the bucket's smallest
-    placed = in_bucket.join(part, F.col("rep") == F.col("node"), "left").select("key", "rep", "m", F.coalesce("component", "rep").alias("c"))
-    placed = written(placed.filter("rep <> m"), "placed")
-    open_keys = written(placed.groupBy("key").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).filter("lo <> hi").select("key"), "open")
-    left = placed.join(open_keys, "key").join(sets.select("rep", "sig"), "rep").select("key", "rep", "c", "sig")
-    left = written(left, "left")
-    one = left.select("key", F.col("rep").alias("a"), F.col("c").alias("ca"), F.col("sig").alias("sa"))
-    two = left.select("key", F.col("rep").alias("b"), F.col("c").alias("cb"), F.col("sig").alias("sb"))
-    rest = written(one.join(two, (one["key"] == two["key"]) & (F.col("ca") < F.col("cb")) & likely).select("a", "b").distinct(), "pairs")
-    more = confirmed(rest)
-    if not more.isEmpty():
-        part = components(links.unionByName(more))
+    left = written(placed(in_bucket.select("key", "rep"), part), "left")
+    if not left.isEmpty():
+        # a text most of whose shingles no other open text has cannot be linked to one
+        ends = left.select(F.col("rep").alias("doc_id")).distinct()
+        alone = _spelt(texts.join(ends, "doc_id", "left_semi"), k).groupBy("shingle").agg(F.min("doc_id").alias("rep"), F.max("doc_id").alias("x")).filter("rep = x")
+        alone = written(alone.groupBy("rep").agg(F.count("*").alias("own")), "alone")
+        able = sets.select("rep", "size", "sig").join(alone, "rep", "left").filter((F.col("size") - F.coalesce("own", F.lit(0))) * 100 >= least * F.col("size"))
+        left = written(left.drop("c").join(able.select("rep", "sig"), "rep"), "able")
+        # one more star around another member of each bucket, then every pair that is still open
+        left2 = placed(left, part)
+        centre = written(left2.groupBy("key").agg(F.min_by(F.struct("rep", "c", "sig"), F.xxhash64("rep")).alias("s")).select("key", F.col("s.rep").alias("a"), F.col("s.c").alias("ca"), F.col("s.sig").alias("sa")), "centre")
+        star = left2.withColumnsRenamed({"rep": "b", "c": "cb", "sig": "sb"}).join(centre, "key").filter((F.col("ca") != F.col("cb")) & likely)
+        more = confirmed(star.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")))
+        if not more.isEmpty():
+            links = links.unionByName(more)
+            part = components(links)
+        left3 = written(placed(left, part), "left")
+        one = left3.withColumnsRenamed({"rep": "a", "c": "ca", "sig": "sa"})
+        two = left3.withColumnsRenamed({"rep": "b", "c": "cb", "sig": "sb"})
+        rest = one.join(two, "key").filter((F.col("ca") < F.col("cb")) & likely)
+        more = confirmed(rest.select("a", "b"))
+        if not more.isEmpty():
+            part = components(links.unionByName(more))
     named = sets.join(part, F.col("rep") == F.col("node"), "left").select("k1", "k2", F.coalesce("component", "rep").alias("_c"))
     named = written(named, "named")
     out = f.select("doc_id", "n_shingles", "k1", "k2").join(named, ["k1", "k2"], "left")

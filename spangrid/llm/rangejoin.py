@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .components import components
+from .components import components, least_labels
 from .tables import written
 
 #: Vectors at home in a cell on average, most pivots, and the sizes of slices.
@@ -82,20 +82,6 @@ def _dealt(vectors: DataFrame, pivots: np.ndarray, eps: float) -> DataFrame:
     return vectors.mapInArrow(run, "rep long, w long, v binary, cell int, side int")
 
 
-def _roots(n: int, a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    """The least node of each node's component in the graph of the edges (a, b)."""
-    label = np.arange(n)
-    while True:
-        low = np.minimum(label[a], label[b])
-        new = label.copy()
-        np.minimum.at(new, label[a], low)
-        np.minimum.at(new, label[b], low)
-        new = new[new]
-        if (new == label).all():
-            return label
-        label = new
-
-
 def _meet(least: float):
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         home, probe = pdf[pdf["side"] == 0], pdf[pdf["side"] == 1]
@@ -114,7 +100,7 @@ def _meet(least: float):
             q, k = np.nonzero(hit)
             if len(q):
                 pair = np.unique(np.stack([label[qn[i + q]], label[hn[k]]]), axis=1)
-                label = _roots(len(ids), *pair)[label]
+                label = least_labels(len(ids), *pair)[label]
         some = np.flatnonzero(links)
         tied = np.flatnonzero(label != np.arange(len(ids)))
         return pd.DataFrame({"a": np.concatenate([qid[some], ids[tied]]), "b": np.concatenate([np.full(len(some), -1), ids[label[tied]]]), "n": np.concatenate([links[some], np.zeros(len(tied), np.int64)])})
