@@ -53,11 +53,15 @@ class GridSpec:
 class Cuts:
     """First keys of the columns, and of each column's cells."""
 
-    def __init__(self, columns: np.ndarray, cells: list[np.ndarray]):
+    def __init__(self, columns: np.ndarray, cells: list[np.ndarray], ids: np.ndarray | None = None):
         self.columns = columns
+        self.ids = np.arange(len(columns)) if ids is None else ids  # ids keep their rows' place when columns split
         self.first = np.concatenate([[0], np.cumsum([len(c) for c in cells])]).astype(np.int64)
         self.cells = np.concatenate(cells) if cells else np.zeros(0, np.int64)
 
+    def cells_of(self, place: int) -> np.ndarray:
+        return self.cells[self.first[place] : self.first[place + 1]]
+
     def column_of(self, key: np.ndarray) -> np.ndarray:
         """A key below the first cut goes to the first column."""
         return np.maximum(np.searchsorted(self.columns, key, "right") - 1, 0)
@@ -82,7 +86,7 @@ def route(df: DataFrame, cuts: Cuts, spec: GridSpec) -> DataFrame:
     def find(first: pd.Series, second: pd.Series) -> pd.DataFrame:
         c = shared.value
         column = c.column_of(first.to_numpy())
-        return pd.DataFrame({"col_id": column.astype(np.int32), "cell_id": c.cell_of(column, second.to_numpy()).astype(np.int32)})
+        return pd.DataFrame({"col_id": c.ids[column].astype(np.int32), "cell_id": c.cell_of(column, second.to_numpy()).astype(np.int32)})
 
     key = spec.keys
     return df.withColumn("_at", find(F.col(key[0]), F.col(key[1]))).select(*df.columns, "_at.col_id", "_at.cell_id")
@@ -230,9 +234,9 @@ def open_grid(spark, path: str) -> Grid:
 def cuts_of(pages: DataFrame, columns: DataFrame, spec: GridSpec) -> Cuts:
     """The cuts a directory stands for: least keys of its columns and cells."""
     second = "min_dur" if spec.order == START_FIRST else "min_lo"
-    first = columns.orderBy("col_id").toPandas()["min_key"].to_numpy(np.int64)
-    cells = pages.select("col_id", "cell_id", second).orderBy("col_id", "cell_id").toPandas()
-    return Cuts(first, [g[second].to_numpy(np.int64) for _, g in cells.groupby("col_id")])
+    own = columns.orderBy("min_key").toPandas()
+    cells = {c: g[second].to_numpy(np.int64) for c, g in pages.select("col_id", "cell_id", second).orderBy("col_id", "cell_id").toPandas().groupby("col_id")}
+    return Cuts(own["min_key"].to_numpy(np.int64), [cells[c] for c in own["col_id"]], own["col_id"].to_numpy(np.int64))
 
 
 def build_grid(df: DataFrame, spec: GridSpec) -> Grid:
