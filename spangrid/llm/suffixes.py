@@ -33,9 +33,11 @@ from .tables import written
 
 LENGTH, GRAM = 400, 128
 #: Different segments of one anchor that are sorted together; bytes of a side that is broadcast, at most.
-TOGETHER, SHARED_BYTES = 64, 32 << 20
+TOGETHER, SHARED_BYTES = 64, 4 << 20
 #: Suffixes that a bucket lists at once.
-LISTED = 400_000
+LISTED = 150_000
+#: Bytes of texts, and rows, that one array operation takes (a text is never cut).
+SLICE, SLICE_ROWS = 1 << 20, 500
 
 
 def _least(g: np.ndarray, width: int) -> np.ndarray:
@@ -53,7 +55,7 @@ def _classes(docs: DataFrame, length: int, gram: int) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for t in texts_of(batch.column("text")):
+            for t in texts_of(batch.column("text"), SLICE):
                 m = len(t.data) - length + 1
                 if m <= 0:
                     continue
@@ -130,7 +132,7 @@ def _segments(texts: DataFrame, length: int) -> DataFrame:
     """One row with its bytes for each wanted segment of the rows (k, text, segs)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in (b.slice(i, SLICE_ROWS) for b in batches for i in range(0, b.num_rows, SLICE_ROWS)):
             out: list = []
             for k, text, segs in zip(batch.column("k").to_pylist(), batch.column("text").to_pylist(), batch.column("segs").to_pylist()):
                 raw = text.encode()
@@ -178,8 +180,8 @@ def _sorted_together(segments: DataFrame, length: int) -> DataFrame:
         held: list[pa.Table] = []
         size = 0
         for batch in batches:
-            for i in range(0, batch.num_rows, 512):
-                part = pa.Table.from_batches([batch.slice(i, 512)])
+            for i in range(0, batch.num_rows, SLICE_ROWS):
+                part = pa.Table.from_batches([batch.slice(i, SLICE_ROWS)])
                 held.append(part)
                 size += int(np.asarray(part.column("n")).sum())
                 if size < LISTED:
@@ -203,8 +205,8 @@ def _sorted_apart(segments: DataFrame, length: int) -> DataFrame:
 
     def spell(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for i in range(0, batch.num_rows, 1024):
-                t = pa.Table.from_batches([batch.slice(i, 1024)])
+            for i in range(0, batch.num_rows, SLICE_ROWS):
+                t = pa.Table.from_batches([batch.slice(i, SLICE_ROWS)])
                 lead, print_, row, off = _listed(t, length)
                 flip = np.uint64(1 << 63)  # signed order as the bytes' order
                 q = np.asarray(t.column("q")).astype(np.int64)[row] + off
@@ -307,7 +309,7 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM) -> D
     joined = keyed.join(_bounded(cover, 100), "k", "left").select("doc_id", "text", "cover")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in (x.slice(i, SLICE_ROWS) for x in batches for i in range(0, x.num_rows, SLICE_ROWS)):
             out = []
             for text, own in zip(b.column("text").to_pylist(), b.column("cover").to_pylist()):
                 raw = text.encode()
