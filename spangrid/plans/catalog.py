@@ -235,7 +235,7 @@ def precision_by_method(spark, sf):
     """Examined, excess and precision of all methods over a mixed query set."""
     q = written(_union([batch(spark, k, 20).withColumn("qid", F.col("qid") + 100 * i) for i, k in enumerate(BATCH)]), "queries")
     n = slim(spark, sf, "presc").count()
-    parts = [measures.accuracy(layout(spark, sf, "presc", m).meter(q), n).join(q.select("qid", "kind"), "qid").withColumn("method", F.lit(m)) for m in METHODS]
+    parts = [measures.accuracy(written(layout(spark, sf, "presc", m).meter(q), "meter"), n).join(q.select("qid", "kind"), "qid").withColumn("method", F.lit(m)) for m in METHODS]
     return _union(parts).groupBy("method", "kind").agg(F.sum("examined").alias("examined"), F.sum("excess").alias("excess"), F.avg("examined_fraction").alias("examined_fraction"), F.avg("precision").alias("precision"))
 
 

@@ -149,7 +149,7 @@ def agg_approx_distinct(spark, sf):
 
 @add("rel_agg_pivot", "SELECT event_type, count(*) FILTER (WHERE user_id % 3 = 0) AS \"0\", count(*) FILTER (WHERE user_id % 3 = 1) AS \"1\", count(*) FILTER (WHERE user_id % 3 = 2) AS \"2\" FROM events GROUP BY 1")
 def agg_pivot(spark, sf):
-    return t(spark, sf, "events").withColumn("m", F.col("user_id") % 3).groupBy("event_type").pivot("m", [0, 1, 2]).agg(F.count("*")).na.fill(0)
+    return t(spark, sf, "events").withColumn("m", F.col("user_id") % 3).groupBy("event_type").pivot("m", [0, 1, 2]).agg(F.count(F.lit(1))).na.fill(0)
 
 
 @add("rel_unpivot", "SELECT event_id, name, v FROM (SELECT event_id, CAST(user_id AS BIGINT) AS user_id, CAST(event_id * 2 AS BIGINT) AS twice FROM events WHERE event_id < 100) UNPIVOT (v FOR name IN (user_id, twice))")

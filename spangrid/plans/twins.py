@@ -122,6 +122,6 @@ slots AS (SELECT bucket, b_lo, b_hi, lv AS level, greatest(1, CAST(ceil((b_hi -
 own AS (SELECT base.t_lo, base.t_hi, base.dur, s.bucket, s.b_lo, s.b_hi, greatest((SELECT count(*) FROM slots z WHERE z.bucket = s.bucket AND z.w >= base.dur) - 1, 0) AS level FROM base JOIN spans s ON base.t_lo < s.b_hi AND base.t_hi > s.b_lo),
 copies AS (SELECT own.*, s.w, unnest(range((greatest(t_lo, own.b_lo) - own.b_lo) // s.w, (least(t_hi, own.b_hi) - 1 - own.b_lo) // s.w + 1)) AS slot FROM own JOIN slots s ON s.bucket = own.bucket AND s.level = own.level),
 band AS (SELECT bucket, level, min(dur) AS l_min, max(dur) AS l_max FROM copies GROUP BY 1, 2),
-at AS (SELECT c.*, c.b_lo + slot * w AS a, least(c.b_lo + slot * w + w, c.b_hi) AS b, l_min, l_max FROM copies c JOIN band USING (bucket, level))
+slotted AS (SELECT c.*, c.b_lo + slot * w AS a, least(c.b_lo + slot * w + w, c.b_hi) AS b, l_min, l_max FROM copies c JOIN band USING (bucket, level))
 SELECT CAST(qid AS BIGINT) AS qid, CAST(count(*) AS BIGINT) AS examined, CAST(count(*) FILTER (WHERE {MATCH} AND greatest(t_lo, coalesce(q_lo, t_lo)) >= a AND greatest(t_lo, coalesce(q_lo, t_lo)) < b) AS BIGINT) AS matched
-FROM ({queries}) q JOIN at ON (q_hi IS NULL OR a < q_hi) AND (q_lo IS NULL OR b > q_lo) AND (d_max IS NULL OR l_min <= d_max) AND (d_min IS NULL OR l_max >= d_min) GROUP BY qid"""
+FROM ({queries}) q JOIN slotted ON (q_hi IS NULL OR a < q_hi) AND (q_lo IS NULL OR b > q_lo) AND (d_max IS NULL OR l_min <= d_max) AND (d_min IS NULL OR l_max >= d_min) GROUP BY qid"""
