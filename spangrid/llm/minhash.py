@@ -3,10 +3,10 @@
 One pass over the texts gives each document its set of word shingles, a digest of that set, HASHES minima of which
 only BITS low bits are kept and packed, and band keys from the full minima. Equal sets collapse by digest
 first, so copies cost one row. A band bucket does not pair all its members: each is compared with the
-smallest, and those links are joined into components. Of buckets that still hold several components, texts with
-too many shingles of their own (no other open text has them) cannot be linked and drop out; the rest are compared
-with one more member, and only then is every pair left open tried. Pairs whose packed signatures, corrected for chance collisions, estimate a similarity far below the
-threshold are dropped; the others are confirmed by exact intersection and union of the sets.
+smallest, pairs whose packed signatures, corrected for chance collisions, estimate a similarity far below the
+threshold are dropped, and the others are confirmed by exact intersection and union of the sets. Those links are joined
+into components. Buckets that still hold several components are compared exactly, in groups of slices of bounded size: a
+group multiplies its texts' incidence matrix of shingles with itself and returns edges between components, never its pairs.
 
 At 28 bands of 4 minima a pair at similarity 0.8 shares no bucket with probability 4e-7; the estimate's margin is
 over five standard errors.
@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .components import components
+from .components import components, least_labels
 from .flat import BYTE_CODE, LOWER, SLICE_BYTES, Texts, mix, per_text, prefix_hash, span_hash, texts_of
 from .tables import written
 
@@ -33,6 +33,8 @@ BANDS, ROWS, BITS = 28, 4, 8
 HASHES = BANDS * ROWS
 #: Estimates below the threshold by more than this are not confirmed.
 MARGIN = 0.2
+#: Texts of a bucket that are compared in one group with as many others, and shingles taken at once.
+SLICE, WIDTH = 512, 4096
 _U = np.uint64
 _rng = np.random.default_rng(20)
 _A = _rng.integers(1 << 31, size=HASHES, dtype=np.uint32) * np.uint32(2) + np.uint32(1)
@@ -142,16 +144,46 @@ def _overlaps(pairs: DataFrame, k: int, least: int) -> DataFrame:
 
 
 def _spelt(texts: DataFrame, k: int) -> DataFrame:
-    """(doc_id, shingle): the fingerprints of each text's shingles."""
+    """(doc_id, shingles): the fingerprints of each text's shingles."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for t in texts_of(batch.column("text")):
                 g, at = shingle_sets(t, k)
-                ids = batch.column("doc_id").slice(t.row, len(t)).take(pa.array(np.repeat(np.arange(len(t)), np.diff(at))))
-                yield pa.RecordBatch.from_arrays([ids, pa.array(g.view(np.int64))], names=["doc_id", "shingle"])
-
-    return texts.select("doc_id", "text").mapInArrow(run, "doc_id long, shingle long")
+                lists = pa.ListArray.from_arrays(pa.array(at.astype(np.int32)), pa.array(g.view(np.int64)))
+                yield pa.RecordBatch.from_arrays([batch.column("doc_id").slice(t.row, len(t)), lists], names=["doc_id", "shingles"])
+
+    return texts.select("doc_id", "text").mapInArrow(run, "doc_id long, shingles array<long>")
+
+
+def _tied(least: int):
+    """Of a group of texts (rep, component c, shingles): edges that join the components that links of the group connect."""
+
+    def run(t: pa.Table) -> pa.Table:
+        t = t.combine_chunks()
+        lists = t.column("shingles").combine_chunks()
+        lists = lists.chunk(0) if isinstance(lists, pa.ChunkedArray) else lists
+        offs = np.asarray(lists.offsets).astype(np.int64)
+        n = np.diff(offs)
+        row = np.repeat(np.arange(len(n)), n)
+        value = np.asarray(lists.flatten())
+        _, where, df = np.unique(value, return_inverse=True, return_counts=True)
+        order = np.argsort(where, kind="stable")
+        order = order[df[where[order]] > 1]  # shingles of one text alone are in no intersection
+        column = np.cumsum(np.concatenate([[0], where[order][1:] != where[order][:-1]])) if len(order) else order
+        common = np.zeros((len(n), len(n)), np.float32)
+        cuts = np.searchsorted(column, np.arange(0, (column[-1] if len(column) else 0) + WIDTH, WIDTH))
+        for x, y in zip(cuts[:-1], cuts[1:]):
+            m = np.zeros((len(n), WIDTH), np.float32)
+            m[row[order[x:y]], column[x:y] % WIDTH] = 1
+            common += m @ m.T
+        comps, c = np.unique(np.asarray(t.column("c")), return_inverse=True)
+        a, b = np.nonzero((100 * common >= least * (n[:, None] + n[None, :] - common)) & (c[:, None] < c[None, :]))
+        label = least_labels(len(comps), c[a], c[b])
+        tied = np.flatnonzero(label != np.arange(len(comps)))
+        return pa.table({"a": pa.array(comps[label[tied]].astype(np.int64)), "b": pa.array(comps[tied].astype(np.int64))})
+
+    return run
 
 
 def near_duplicates(docs: DataFrame, k: int = 5, least: int = 80) -> DataFrame:
@@ -193,27 +225,14 @@ def near_duplicates(docs: DataFrame, k: int = 5, least: int = 80) -> DataFrame:
     part = components(links)
     left = written(placed(in_bucket.select("key", "rep"), part), "left")
     if not left.isEmpty():
-        # a text most of whose shingles no other open text has cannot be linked to one
         ends = left.select(F.col("rep").alias("doc_id")).distinct()
-        alone = _spelt(texts.join(ends, "doc_id", "left_semi"), k).groupBy("shingle").agg(F.min("doc_id").alias("rep"), F.max("doc_id").alias("x")).filter("rep = x")
-        alone = written(alone.groupBy("rep").agg(F.count("*").alias("own")), "alone")
-        able = sets.select("rep", "size", "sig").join(alone, "rep", "left").filter((F.col("size") - F.coalesce("own", F.lit(0))) * 100 >= least * F.col("size"))
-        left = written(left.drop("c").join(able.select("rep", "sig"), "rep"), "able")
-        # one more star around another member of each bucket, then every pair that is still open
-        left2 = placed(left, part)
-        centre = written(left2.groupBy("key").agg(F.min_by(F.struct("rep", "c", "sig"), F.xxhash64("rep")).alias("s")).select("key", F.col("s.rep").alias("a"), F.col("s.c").alias("ca"), F.col("s.sig").alias("sa")), "centre")
-        star = left2.withColumnsRenamed({"rep": "b", "c": "cb", "sig": "sb"}).join(centre, "key").filter((F.col("ca") != F.col("cb")) & likely)
-        more = confirmed(star.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")))
-        if not more.isEmpty():
-            links = links.unionByName(more)
-            part = components(links)
-        left3 = written(placed(left, part), "left")
-        one = left3.withColumnsRenamed({"rep": "a", "c": "ca", "sig": "sa"})
-        two = left3.withColumnsRenamed({"rep": "b", "c": "cb", "sig": "sb"})
-        rest = one.join(two, "key").filter((F.col("ca") < F.col("cb")) & likely)
-        more = confirmed(rest.select("a", "b"))
-        if not more.isEmpty():
-            part = components(links.unionByName(more))
+        spelt = written(_spelt(texts.join(ends, "doc_id", "left_semi"), k).withColumnRenamed("doc_id", "rep"), "spelt")
+        slices = written(left.groupBy("key").agg(F.ceil(F.count("*") / SLICE).cast("int").alias("n")), "slices")
+        own = F.pmod(F.xxhash64("rep"), F.col("n")).cast("int")
+        dealt = left.join(slices, "key").withColumn("s", own).withColumn("t", F.explode(F.sequence(F.lit(0), F.col("n") - 1)))
+        dealt = dealt.select("key", "rep", "c", F.least("s", "t").alias("i"), F.greatest("s", "t").alias("j")).join(spelt, "rep")
+        more = written(dealt.groupBy("key", "i", "j").applyInArrow(_tied(least), "a long, b long").distinct(), "ties")
+        part = components(links.unionByName(more))
     named = sets.join(part, F.col("rep") == F.col("node"), "left").select("k1", "k2", F.coalesce("component", "rep").alias("_c"))
     named = written(named, "named")
     out = f.select("doc_id", "n_shingles", "k1", "k2").join(named, ["k1", "k2"], "left")
