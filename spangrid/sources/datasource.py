@@ -64,6 +64,7 @@ class GridReader(DataSourceReader):
 def read_grid(spark: SparkSession, path: str):
     """The rows of a grid saved at a path that workers can open (for other stores use open_grid and its scans)."""
     spark.dataSource.register(GridSource)
+    spark.conf.set("spark.sql.python.filterPushdown.enabled", "true")
     pages = [r.asDict() for r in spark.read.parquet(f"{path}/pages").drop("heavy").collect()]  # the directory
     local = path.removeprefix("file://")
     return spark.read.format("interval_grid").option("pages", json.dumps(pages)).load(local)
