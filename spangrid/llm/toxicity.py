@@ -202,9 +202,9 @@ def fit(docs: DataFrame, labels: DataFrame) -> Field | None:
     return fit_texts(texts, y)
 
 
-def tag(docs: DataFrame, labels: DataFrame, text: str = "text") -> DataFrame:
+def tag(docs: DataFrame, field: Field | None, text: str = "text") -> DataFrame:
     """docs with ``score`` and ``spans`` (offending "start:end" in code points, joined by commas)."""
-    shared = docs.sparkSession.sparkContext.broadcast(fit(docs.select("doc_id", F.col(text).alias("text")), labels))  # 2**18 weights
+    shared = docs.sparkSession.sparkContext.broadcast(field)  # 2**18 weights
     names = [f"c{i}" for i in range(len(docs.columns))]
     at = docs.columns.index(text)
 
@@ -242,10 +242,12 @@ def _spans(t: Texts, k: Tokens, p: np.ndarray) -> list[str]:
 
 def score_documents(docs: DataFrame, labels: DataFrame) -> DataFrame:
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    out = tag(rows, labels)
+    out = tag(rows, fit(rows, labels))
     return out.select("doc_id", (remainder(F.col("doc_id"), FOLDS) == 0).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"), "spans")
 
 
 def reject(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """docs without those scored 0.5 or more; all columns stay."""
-    return tag(docs, labels).filter("score < 0.5").select(*docs.columns)
+    names = [f"x{i}" for i in range(len(docs.columns))]  # so that no column is taken for a score
+    tagged = tag(docs.toDF(*names), fit(docs.select("doc_id", "text"), labels), names[docs.columns.index("text")])
+    return tagged.filter("score < 0.5").select(*names).toDF(*docs.columns)
