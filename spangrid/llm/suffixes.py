@@ -32,8 +32,8 @@ from .flat import BYTE_CODE, prefix_hash, span_hash, texts_of
 from .tables import written
 
 LENGTH, GRAM = 400, 128
-#: Different segments of one anchor that are sorted together; bytes of a side that is broadcast, at most.
-TOGETHER, SHARED_BYTES = 64, 4 << 20
+#: Different segments of one anchor that are sorted together, at most.
+TOGETHER = 64
 #: Suffixes that a bucket lists at once.
 LISTED = 150_000
 #: Bytes of texts, and rows, that one array operation takes (a text is never cut).
@@ -274,11 +274,6 @@ def _merged(spans: DataFrame) -> DataFrame:
     return spans.groupBy("k").agg(F.collect_set(F.struct("lo", "hi")).alias("spans")).mapInArrow(run, "k long, cover array<long>")
 
 
-def _bounded(df: DataFrame, row_bytes: int) -> DataFrame:
-    """df, to be broadcast if it is small; beyond the bound the join shuffles."""
-    return F.broadcast(df) if df.count() * row_bytes <= SHARED_BYTES else df
-
-
 def covers(keyed: DataFrame, length: int = LENGTH, gram: int = GRAM) -> DataFrame:
     """(k, cover) of the rows (k, text) with bytes to remove."""
     classes = written(_classes(keyed, length, gram), "classes")
@@ -294,7 +289,7 @@ def covers(keyed: DataFrame, length: int = LENGTH, gram: int = GRAM) -> DataFram
     spans = whole.select("k", F.col("q").cast("long").alias("lo"), (F.col("q") + F.col("n") - 1 + length).cast("long").alias("hi"))
     flagged = segs.join(many, F.col("a") == F.col("_a"), "left").withColumn("many", F.col("_a").isNotNull())
     wanted = written(flagged.groupBy("k").agg(F.collect_list(F.struct("a", "s", "c", "many", "q", "n")).alias("segs")), "wanted")
-    found = written(_segments(keyed.join(_bounded(wanted, 400), "k"), length).dropDuplicates(["k", "q"]), "found")
+    found = written(_segments(keyed.join(wanted.hint("merge"), "k"), length).dropDuplicates(["k", "q"]), "found")
     parts = int(keyed.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     together = found.filter("not many").repartitionByRange(parts, "a").sortWithinPartitions("a")
     spans = spans.unionByName(_sorted_together(together, length)).unionByName(_sorted_apart(found.filter("many"), length))
@@ -306,7 +301,7 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM) -> D
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
     keyed = rows.withColumn("k", F.xxhash64("doc_id", "text"))
     cover = covers(keyed.select("k", "text"), length, gram)
-    joined = keyed.join(_bounded(cover, 100), "k", "left").select("doc_id", "text", "cover")
+    joined = keyed.join(cover.hint("merge"), "k", "left").select("doc_id", "text", "cover")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in (x.slice(i, SLICE_ROWS) for x in batches for i in range(0, x.num_rows, SLICE_ROWS)):
