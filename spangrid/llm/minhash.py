@@ -6,7 +6,7 @@ first, so copies cost one row. A band bucket does not pair all its members: each
 smallest, pairs whose packed signatures, corrected for chance collisions, estimate a similarity far below the
 threshold are dropped, and the others are confirmed by exact intersection and union of the sets. Those links are joined
 into components. Buckets that still hold several components are compared exactly, in groups of slices of bounded size: a
-group multiplies its texts' incidence matrix of shingles with itself and returns edges between components, never its pairs.
+group (without texts that share too few shingles with any other to be linked) multiplies its texts' incidence matrix of shingles with itself and returns edges between components, never its pairs.
 
 At 28 bands of 4 minima a pair at similarity 0.8 shares no bucket with probability 4e-7; the estimate's margin is
 over five standard errors.
@@ -227,6 +227,14 @@ def near_duplicates(docs: DataFrame, k: int = 5, least: int = 80) -> DataFrame:
     if not left.isEmpty():
         ends = left.select(F.col("rep").alias("doc_id")).distinct()
         spelt = written(_spelt(texts.join(ends, "doc_id", "left_semi"), k).withColumnRenamed("doc_id", "rep"), "spelt")
+        # shingles that no other open text has are in no intersection, so few others bound what a text can share in its bucket
+        alone = spelt.select("rep", F.explode("shingles").alias("g")).groupBy("g").agg(F.min("rep").alias("rep"), F.max("rep").alias("x")).filter("rep = x")
+        alone = written(alone.groupBy("rep").agg(F.count("*").alias("own")), "alone")
+        size = spelt.select("rep", F.size("shingles").alias("size")).join(alone, "rep", "left").withColumn("free", F.col("size") - F.coalesce("own", F.lit(0)))
+        sized = written(left.join(size.select("rep", "size", "free"), "rep"), "sized")
+        least_size = written(sized.groupBy("key").agg(F.min("size").alias("least")), "sizes")
+        able = sized.join(least_size, "key").filter((100 + least) * F.col("free") >= least * (F.col("size") + F.col("least")))
+        left = written(placed(able.select("key", "rep"), part), "able")
         slices = written(left.groupBy("key").agg(F.ceil(F.count("*") / SLICE).cast("int").alias("n")), "slices")
         own = F.pmod(F.xxhash64("rep"), F.col("n")).cast("int")
         dealt = left.join(slices, "key").withColumn("s", own).withColumn("t", F.explode(F.sequence(F.lit(0), F.col("n") - 1)))
