@@ -1,15 +1,23 @@
-"""Language-model scoring with a probabilistic suffix tree.
+"""Language-model scoring with a probabilistic suffix tree over tokens, with a tree over word forms as its back-off.
+
+The token tree's states are contexts of one to TOKENS preceding tokens, told apart by fingerprints. A context is counted
+if it occurs LEAST_COUNT times, with what follows it; what follows fewer than LEAST_PAIR times goes to the mass that its
+shorter suffix shares out. It stays if what follows diverges from that suffix by more than chance explains, and with it stay
+its suffixes. Contexts and what follows are counted, tested and met in joins, so their number is bounded by the corpus alone.
+As a longer context's log probability is that of its suffix, its escape, and a bonus for what it has seen, a text's score is
+a sum of values met by key. Where no token context stays, the word-form tree says all:
 
 A token's symbol is the class of its form (its last letter, its longer characters, digits, other, or the text's end).
-The tree's states are contexts of at most DEPTH symbols. A context stays if its next-symbol counts diverge from what
+This tree's states are contexts of at most DEPTH symbols. A context stays if its next-symbol counts diverge from what
 its shorter suffix predicts by more than chance explains (a likelihood-ratio test against its degrees of freedom), and
 with it stay its suffixes. Distributions are smoothed towards the shorter suffix, weighted by how many different
 symbols follow. A token's probability is that of its symbol in the longest suffix state, times that of the
 token among the tokens of its class, where counts are smoothed as in the base score and one share is the unknown token's.
 
-Everything the model learns is counted over all training documents. The tree is bounded by its alphabet; counts of
-words are not, so only words frequent enough to be few (MOST_SHARED) are shared with all tasks, and the other words of the
-texts meet their counts in a join. Words are told apart by 64-bit fingerprints.
+Everything the model learns is counted over all training documents. The word-form tree is bounded by its alphabet; counts of
+words and token contexts are not, so only those frequent enough to be few (MOST_SHARED, SHARED_STATES) are shared with all
+tasks, and the others meet their counts in a join. Bitmaps of keys, which let through too much but never too little,
+keep out of joins what meets nothing. Words are told apart by 64-bit fingerprints.
 
 Results by case: null and empty texts consist of the end token; without training documents all counts are zero; repeated rows
 give one row each; a row without an id is never held out.
@@ -28,7 +36,7 @@ from pyspark.sql import functions as F
 from .flat import BYTE_CODE, LOWER, Texts, mix, per_text, prefix_hash, span_hash, texts_of
 from .tables import remainder, written
 
-FOLDS, DEPTH = 10, 3
+FOLDS, DEPTH, TOKENS = 10, 3, 3
 #: Symbols: the end, the start, 16 classes of longer characters, 26 last letters, digits, others.
 END, START, ALPHABET = 0, 1, 46
 ADD = 0.1
@@ -36,7 +44,11 @@ ADD = 0.1
 MOST_SHARED, HAND_ON = 1 << 16, 2_000_000
 #: A context needs so many occurrences, and a statistic so many deviations above what chance gives.
 LEAST_COUNT, DEVIATIONS = 20, 4.0
-END_WORD = np.uint64(0x454E44)
+#: What follows a context needs so many occurrences to have a value of its own.
+LEAST_PAIR = 3
+#: Values of token contexts shared with all tasks, at most; bits of a bitmap of keys, at most, as a power of two.
+SHARED_STATES, MOST_BITS = 1 << 20, 27
+END_WORD, START_WORD, AS_CONTEXT = np.uint64(0x454E44), np.uint64(0x5354415254), np.uint64(0x5A6C3B1D97E4F208)
 
 
 class Sequence:
@@ -66,6 +78,21 @@ class Sequence:
         self.code += self.context * ALPHABET
         self.key = mix(span_hash(prefix, t.cuts[:-1], t.cuts[1:]))
 
+    def token_contexts(self) -> Iterator[tuple[int, np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
+        """For each length: the length, places that have such a context, and there the keys of the context, of the context with
+        the token that follows, and of its suffix with that token. A key with a token is that of the longer context after it."""
+        since = np.arange(self.at[-1]) - self.at[self.text]
+        last = self.word
+        for d in range(1, TOKENS + 1):
+            context = np.empty_like(last)
+            context[1:] = last[:-1]
+            if d == 1:
+                context[since == 0] = START_WORD
+            key = mix(mix(context + np.uint64(d)) ^ last)
+            place = np.flatnonzero(since >= d - 1)
+            yield d, place, context[place], key[place], last[place]
+            last = key
+
     @staticmethod
     def _classes(low: np.ndarray, s: np.ndarray, e: np.ndarray) -> np.ndarray:
         longer = np.maximum.reduceat(np.where((low >= 0x80) & (low < 0xC0), low, 0), s).astype(np.int64)
@@ -149,6 +176,119 @@ class Tree:
         return self.log[self.state[q.context], q.symbol].astype(np.float64)
 
 
+class Bits:
+    """A bitmap of 64-bit keys by their leading bits: has() is never wrong about a key that is in it."""
+
+    def __init__(self, keys: DataFrame, column: str, n: int):
+        self.log = min(MOST_BITS, max(10, (16 * n).bit_length()))
+        at = F.shiftrightunsigned(column, 64 - self.log)
+        rows = keys.select(F.shiftright(at, 6).alias("i"), at.bitwiseAND(F.lit(63)).cast("int").alias("j")).groupBy("i").agg(F.bit_or(F.expr("shiftleft(1L, j)")).alias("w")).toArrow()
+        self.bits = np.zeros(1 << (self.log - 6), np.uint64)
+        self.bits[rows["i"].to_numpy()] = rows["w"].to_numpy().view(np.uint64)
+
+    def has(self, keys: np.ndarray) -> np.ndarray:
+        at = keys >> np.uint64(64 - self.log)
+        return (self.bits[(at >> np.uint64(6)).astype(np.int64)] >> (at & np.uint64(63))) & np.uint64(1) > 0
+
+
+def _followed(docs: DataFrame, depth: int, among: Bits) -> DataFrame:
+    """(k, x, y, n): training counts of what follows the contexts of ``depth`` tokens that ``among`` lets through."""
+    names = ["k", "x", "y", "n"]
+    shared = docs.sparkSession.sparkContext.broadcast(among)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        some: list[tuple[np.ndarray, ...]] = []
+
+        def hand_on() -> Iterator[pa.RecordBatch]:
+            if some:
+                k, x, y = (np.concatenate(c) for c in zip(*some))
+                _, first, n = np.unique(k, return_index=True, return_counts=True)
+                for a in range(0, len(first), 1 << 16):
+                    f = first[a : a + (1 << 16)]
+                    yield pa.RecordBatch.from_arrays([pa.array(x[f].view(np.int64)), pa.array(y[f].view(np.int64)), pa.array(n[a : a + (1 << 16)])], names=names[1:])
+            some.clear()
+
+        for batch in batches:
+            for t in texts_of(batch.column("text")):
+                for d, _, x, k, y in Sequence(t).token_contexts():
+                    if d == depth:
+                        in_ = shared.value.has(x)
+                        some.append((k[in_], x[in_], y[in_]))
+                if sum(len(c[0]) for c in some) >= HAND_ON:
+                    yield from hand_on()
+        yield from hand_on()
+
+    def keyed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            x, y = (b.column(c).to_numpy().astype(np.int64).view(np.uint64) for c in "xy")
+            yield pa.RecordBatch.from_arrays([pa.array(mix(mix(x + np.uint64(depth)) ^ y).view(np.int64)), *(b.column(c) for c in "xyn")], names=names)
+
+    seen = docs.filter("train").select("text").mapInArrow(run, "x long, y long, n long")
+    often = seen.groupBy("x", "y").agg(F.sum("n").alias("n")).filter(F.col("n") >= LEAST_PAIR)
+    return often.mapInArrow(keyed, "k long, x long, y long, n long")
+
+
+def _token_states(docs: DataFrame, words: DataFrame, total: int, distinct: int, ends: int) -> DataFrame | None:
+    """(h, n, v): by key, the log escapes of the contexts that stay (keys xor AS_CONTEXT) and the bonuses of what they have seen."""
+    start = docs.sparkSession.range(1).select(F.lit(int(START_WORD)).alias("k"), F.lit(int(ends)).cast("long").alias("n"))
+    above = words.select(F.col("h").alias("k"), "n").unionByName(start).withColumn("lp", F.log((F.col("n") + ADD) / (total + ADD * (distinct + 1))))
+    tables: list[DataFrame] = []
+    stay: list[DataFrame] = []
+    for d in range(1, TOKENS + 1):
+        able = above.filter(F.col("n") >= LEAST_COUNT)
+        n_able = able.count()
+        if not n_able:
+            break
+        seen = written(_followed(docs, d, Bits(able, "k", n_able)), "followed")
+        per = seen.groupBy("x").agg(F.count("*").alias("kinds"), F.sum("n").alias("s")).join(able.select(F.col("k").alias("x"), F.col("n").alias("total")), "x")
+        every = F.col("total") + F.col("kinds")
+        left = every - F.col("s")
+        p = (F.col("n") + left * F.exp("up")) / every
+        valued = seen.join(per, "x").join(above.select(F.col("k").alias("y"), F.col("lp").alias("up")), "y").select(
+            "k", "x", "y", "n", "kinds", "s", "total", F.log(p).alias("lp"), F.log10(left / every).alias("escape"), (F.log10(p) - F.log10(left / every) - F.col("up") / math.log(10)).alias("bonus"),
+            (F.col("n") * (F.log(F.col("n") / F.col("total")) - F.col("up"))).alias("g"), F.exp("up").alias("q"),
+        )
+        here = written(valued, "contexts")
+        rest = F.col("total") - F.col("s")
+        cells = F.col("kinds") + (rest > 0).cast("int")
+        other = F.when(rest > 0, rest * F.log(rest / (F.col("total") * F.greatest(F.lit(1e-12), 1 - F.col("q"))))).otherwise(0.0)
+        # what has no value of its own is one cell of the test
+        tested = here.groupBy("x").agg(*(F.max(c).alias(c) for c in ("kinds", "s", "total", "escape")), F.sum("g").alias("g"), F.sum("q").alias("q"))
+        contexts = tested.select("x", "total", "escape", (2 * (F.col("g") + other) > cells + DEVIATIONS * F.sqrt(2 * cells)).alias("stays"))
+        tables.append(here)
+        stay.append(written(contexts, "tested"))
+        above = here.select("k", "n", "lp")
+    out = None
+    longer = None  # suffixes of what stays
+    for d in range(len(tables) - 1, -1, -1):
+        kept = stay[d].filter("stays").select("x")
+        kept = (kept if longer is None else kept.unionByName(longer)).distinct()
+        states = stay[d].join(kept, "x", "left_semi").select(F.col("x").bitwiseXOR(F.lit(int(AS_CONTEXT))).alias("h"), F.col("total").alias("n"), F.col("escape").alias("v"))
+        both = states.unionByName(tables[d].join(kept, "x", "left_semi").select(F.col("k").alias("h"), "n", F.col("bonus").alias("v")))
+        out = both if out is None else out.unionByName(both)
+        if d:
+            longer = tables[d - 1].join(kept.select(F.col("x").alias("k")), "k", "left_semi").select(F.col("y").alias("x"))
+    return None if out is None else written(out, "states")
+
+
+def _most_frequent(table: DataFrame, most: int) -> DataFrame | None:
+    """The rows with the largest n, as far as whole bins of n hold at most ``most`` rows."""
+    bins = table.groupBy(F.floor(4 * F.log2("n")).alias("b")).count().orderBy(F.desc("b")).collect()  # a few hundred at most
+    least, some = None, 0
+    for r in bins:
+        some += r["count"]
+        if some > most:
+            break
+        least = r["b"]
+    return None if least is None else table.filter(F.floor(4 * F.log2("n")) >= F.lit(least))
+
+
+def _found(keys: np.ndarray, among: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Where keys stand in sorted ``among``, and whether they do."""
+    k = np.minimum(np.searchsorted(among, keys), max(0, len(among) - 1))
+    return k, among[k] == keys if len(among) else np.zeros(len(keys), bool)
+
+
 def score_documents(docs: DataFrame) -> DataFrame:
     """Per document: doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score."""
     spark = docs.sparkSession
@@ -163,19 +303,22 @@ def score_documents(docs: DataFrame) -> DataFrame:
     total, distinct = sum(n for n, _ in by_class.values()), sum(v for _, v in by_class.values())
     log_all = math.log10(total + ADD * (distinct + 1))
     log_class = np.array([math.log10(by_class.get(c, (0, 0))[0] + ADD * (by_class.get(c, (0, 0))[1] + 1)) for c in range(ALPHABET)])
-    bins = words.groupBy(F.floor(4 * F.log2("n")).alias("b")).count().orderBy(F.desc("b")).collect()  # a few hundred at most
-    least, some = None, 0
-    for r in bins:
-        some += r["count"]
-        if some > MOST_SHARED:
-            break
-        least = r["b"]
-    shared_words = words.filter(F.floor(4 * F.log2("n")) >= F.lit(least)).select("h", "n").toPandas().sort_values("h") if least is not None else None
+    frequent = _most_frequent(words, MOST_SHARED)
+    shared_words = frequent.select("h", "n").toPandas().sort_values("h") if frequent is not None else None
     known = (shared_words["h"].to_numpy(np.int64), shared_words["n"].to_numpy(np.int64)) if shared_words is not None else (np.zeros(0, np.int64), np.zeros(0, np.int64))
-    shared = spark.sparkContext.broadcast((tree, *known, log_class, by_class.get(END, (0, 0))[0]))
+    ends = by_class.get(END, (0, 0))[0]
+    states = _token_states(rows, words, total, distinct, ends) if ends else None
+    n_states = states.count() if states is not None else 0
+    valued = (np.zeros(0, np.int64), np.zeros(0), None)
+    if n_states:
+        top = _most_frequent(states, SHARED_STATES)
+        top = (states.limit(0) if top is None else top).select("h", "v").toArrow()
+        order = np.argsort(top["h"].to_numpy())
+        valued = (top["h"].to_numpy()[order], top["v"].to_numpy()[order], Bits(states, "h", n_states))
+    shared = spark.sparkContext.broadcast((tree, *known, log_class, ends, valued))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        own, often, count, per_class, ends = shared.value
+        own, often, count, per_class, ends, (keys, values, bits) = shared.value
         log_count = np.log10(count + ADD)
         for batch in batches:
             for t in texts_of(batch.column("text")):
@@ -183,54 +326,73 @@ def score_documents(docs: DataFrame) -> DataFrame:
                 ids = batch.column("doc_id").slice(t.row, len(t))
                 key = mix(q.key ^ mix(np.asarray(ids.fill_null(-1)).astype(np.int64).view(np.uint64) + np.uint64(77)))
                 h = q.word.view(np.int64)
-                k = np.minimum(np.searchsorted(often, h), max(0, len(often) - 1))
-                hit = often[k] == h if len(often) else np.zeros(len(h), bool)
+                k, hit = _found(h, often)
                 value = np.where(hit, log_count[k] if len(often) else 0.0, 0.0)
                 last = q.symbol == END
                 value[last] = math.log10(ends + ADD)
                 sure = hit | last
                 # the end is the only token of its class, so its class says all
                 model = own.logs(q) - np.where(last, 0.0, per_class[q.symbol])
+                n = len(t)
+                score = per_text(model + np.where(last, 0.0, value), q.at, empty=0.0)
                 tail = np.flatnonzero(~sure)
-                order = tail[np.lexsort((h[tail], q.text[tail]))]
+                asked = [(h[tail], q.text[tail], np.full(len(tail), np.nan))]
+                if bits is not None:
+                    # from the word-form tree to the base score, from which token contexts go on
+                    swap = np.where(last, value, 0.0) - log_all - model
+                    for d, place, x, y, _ in q.token_contexts():
+                        for at, extra in ((x ^ AS_CONTEXT, swap[place] if d == 1 else np.zeros(len(place))), (y, np.zeros(len(place)))):
+                            k, hit = _found(at.view(np.int64), keys)
+                            if hit.any():
+                                score = score + np.bincount(q.text[place[hit]], values[k[hit]] + extra[hit], n)
+                            far = np.flatnonzero(~hit & bits.has(at))
+                            asked.append((at[far].view(np.int64), q.text[place[far]], extra[far]))
+                ask, of, extra = (np.concatenate(c) for c in zip(*asked))
+                order = np.lexsort((ask, of))
+                ask, of, extra = ask[order], of[order], extra[order]
                 first = np.ones(len(order), bool)
-                first[1:] = (h[order][1:] != h[order][:-1]) | (q.text[order][1:] != q.text[order][:-1])
+                first[1:] = (ask[1:] != ask[:-1]) | (of[1:] != of[:-1])
                 head = np.flatnonzero(first)
                 tf = np.diff(np.append(head, len(order)))
-                n = len(t)
+                extra = np.add.reduceat(extra, head) if len(head) else extra
                 each = pa.StructArray.from_arrays(
                     [
                         ids,
                         pa.array(np.diff(q.at)),
                         pa.array(per_text((sure & ((value > math.log10(ADD) + 1e-9))).astype(np.int64), q.at)),
                         pa.array(per_text(value, q.at, empty=0.0)),
-                        pa.array(per_text(model + np.where(last, 0.0, value), q.at, empty=0.0)),
+                        pa.array(score),
                     ],
                     names=["doc_id", "n_tokens", "n_known", "base", "model"],
                 )
                 yield pa.RecordBatch.from_arrays(
                     [
-                        pa.concat_arrays([pa.array(h[order[head]]), pa.array(key.view(np.int64))]),
-                        pa.concat_arrays([pa.array(key[q.text[order[head]]].view(np.int64)), pa.array(key.view(np.int64))]),
+                        pa.concat_arrays([pa.array(ask[head]), pa.array(key.view(np.int64))]),
+                        pa.concat_arrays([pa.array(key[of[head]].view(np.int64)), pa.array(key.view(np.int64))]),
                         pa.array(np.concatenate([tf, np.zeros(n, np.int64)]).astype(np.int32)),
+                        pa.array(np.concatenate([extra, np.full(n, np.nan)]), from_pandas=True),  # null for words and documents
                         pa.concat_arrays([pa.nulls(len(head), each.type), each]),
                     ],
-                    names=["h", "k", "tf", "doc"],
+                    names=["h", "k", "tf", "swap", "doc"],
                 )
 
     doc = "doc struct<doc_id:long,n_tokens:long,n_known:long,base:double,model:double>"
-    parts = rows.select("doc_id", "text").mapInArrow(run, f"h long, k long, tf int, {doc}")
-    counted = parts.join(words.select("h", "n"), "h", "left")
+    parts = rows.select("doc_id", "text").mapInArrow(run, f"h long, k long, tf int, swap double, {doc}")
+    met = words.select("h", "n", F.lit(None).cast("double").alias("v"))
+    if n_states:
+        met = met.unionByName(states.select("h", F.lit(None).cast("long").alias("n"), "v"))
+    counted = parts.join(met, "h", "left")
     # a document's own row travels under its key with tf 0, so it spreads evenly and adds nothing for a word
-    term = F.col("tf") * F.log10(F.coalesce("n", F.lit(0)) + ADD)
+    term = F.when(F.col("swap").isNull(), F.col("tf") * F.log10(F.coalesce("n", F.lit(0)) + ADD)).otherwise(0.0)
+    state = F.when(F.col("swap").isNotNull() & F.col("v").isNotNull(), F.col("tf") * F.col("v") + F.col("swap")).otherwise(0.0)
     whole = counted.groupBy("k").agg(
-        F.max("doc.doc_id").alias("doc_id"), F.count("doc").alias("m"), F.sum(term).alias("t"), F.sum(F.when(F.col("n").isNotNull(), F.col("tf")).otherwise(0)).alias("kn"),
+        F.max("doc.doc_id").alias("doc_id"), F.count("doc").alias("m"), F.sum(term).alias("t"), F.sum(state).alias("u"), F.sum(F.when(F.col("n").isNotNull(), F.col("tf")).otherwise(0)).alias("kn"),
         F.sum("doc.n_tokens").alias("nt"), F.sum("doc.n_known").alias("nk"), F.sum("doc.base").alias("b"), F.sum("doc.model").alias("s"),
     )
     one = lambda c: F.col(c) / F.col("m")  # noqa: E731  equal rows share a key; m of them came together
     out = whole.select(
         "doc_id", (F.col("doc_id").isNotNull() & (remainder(F.col("doc_id"), FOLDS) == 0)).alias("held_out"), one("nt").cast("long").alias("n_tokens"),
         one("nk").cast("long").alias("n0"), one("kn").cast("long").alias("n1"), F.lit(int(total)).cast("long").alias("train_tokens"),
-        (one("b") + one("t") - one("nt") * log_all).alias("base_score"), (one("s") + one("t")).alias("score"), F.explode(F.sequence(F.lit(1), F.col("m").cast("int"))).alias("_i"),
+        (one("b") + one("t") - one("nt") * log_all).alias("base_score"), (one("s") + one("t") + one("u")).alias("score"), F.explode(F.sequence(F.lit(1), F.col("m").cast("int"))).alias("_i"),
     )
     return out.select("doc_id", "held_out", "n_tokens", (F.col("n0") + F.col("n1")).alias("n_known"), "train_tokens", "base_score", "score")

@@ -249,6 +249,53 @@ def test_suffixtree(docs, local, nothing, monkeypatch, shared):
     assert suffixtree.score_documents(nothing).isEmpty()
 
 
+@pytest.mark.parametrize("shared", [0, 1 << 20])
+def test_suffixtree_learns_word_order(spark, monkeypatch, shared):
+    """Words of one class and equal counts, so only tokens' order tells texts apart; brute force gives the scores."""
+    monkeypatch.setattr(suffixtree, "SHARED_STATES", shared)
+    least, pair, depth = suffixtree.LEAST_COUNT, suffixtree.LEAST_PAIR, suffixtree.TOKENS
+    held = [i for i in range(600) if zlib.crc32(str(i).encode()) % 10 == 0]
+    odd = {held[0]: "xa ya za wa", held[1]: "ya xa wa za", held[2]: "xa ya", held[3]: "za never xa ya", held[4]: None}
+    rows = [(i, odd.get(i, ("xa ya za wa", "za wa xa ya", "xa ya wa za xa ya")[i % 3])) for i in range(600)]
+    out = {r["doc_id"]: r for r in suffixtree.score_documents(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    good, swapped = out[held[0]], out[held[1]]
+    assert abs(good["base_score"] - swapped["base_score"]) < 1e-9 and good["score"] > swapped["score"] + 1
+
+    train = [["<", *(t or "").split(), ">"] for i, t in rows if i not in held]
+    n = collections.Counter(tuple(w[j - d : j + 1]) for w in train for j in range(1, len(w)) for d in range(min(j, depth) + 1))
+    words = {g[0]: c for g, c in n.items() if len(g) == 1}
+    total = sum(words.values())
+    follow = collections.defaultdict(dict)
+    for g, c in n.items():
+        if len(g) > 1:
+            follow[g[:-1]][g[-1]] = c
+    follow = {g: c for g, c in follow.items() if sum(c.values()) >= least}
+
+    def p(w, g):
+        if not g:
+            return (words.get(w, 0) + 0.1) / (total + 0.1 * (len(words) + 1))
+        own = {k: v for k, v in follow[g].items() if v >= pair}
+        every = sum(follow[g].values()) + len(own)
+        return (own.get(w, 0) + (every - sum(own.values())) * p(w, g[1:])) / every
+
+    def diverges(g):
+        own, size = {k: v for k, v in follow[g].items() if v >= pair}, sum(follow[g].values())
+        up = {k: p(k, g[1:]) for k in own}
+        rest, cells = size - sum(own.values()), len(own) + (size > sum(own.values()))
+        stat = sum(v * math.log(v / size / up[k]) for k, v in own.items()) + (rest * math.log(rest / size / (1 - sum(up.values()))) if rest else 0)
+        return 2 * stat > cells + suffixtree.DEVIATIONS * math.sqrt(2 * cells)
+
+    states = {g[j:] for g in follow if diverges(g) for j in range(len(g))}
+    assert {len(g) for g in states} >= {1, 2}
+    for i in held[:3]:
+        w = ["<", *odd[i].split(), ">"]
+        want = 0
+        for j in range(1, len(w)):
+            context = max((tuple(w[j - d : j]) for d in range(1, min(j, depth) + 1) if tuple(w[j - d : j]) in states), key=len)
+            want += math.log10(p(w[j], context))
+        assert abs(out[i]["score"] - want) < 1e-6
+
+
 def test_tree_is_a_distribution():
     rng = np.random.default_rng(5)
     a = suffixtree.ALPHABET
