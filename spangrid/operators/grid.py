@@ -288,6 +288,49 @@ def interval_join(a: DataFrame, b: DataFrame, width: int, d_min: int | None = No
     return both.filter(F.floor(F.greatest("a_lo", "b_lo") / F.lit(width)) == F.col("slot")).select("a_id", "b_id")
 
 
+def below(keys: DataFrame, probes: DataFrame, buckets: int = 4096) -> DataFrame:
+    """probes (x and other columns) with n_below, how many of keys (x) are smaller: exact at every size, as keys are counted by
+    value, ranked within buckets of the axis and carried over from bucket to bucket."""
+    from pyspark.sql import Window
+
+    ends = keys.agg(F.min("x").alias("a"), F.max("x").alias("b")).first()
+    if ends["a"] is None:
+        return probes.withColumn("n_below", F.lit(0).cast("long"))
+    width = max(1, -(-(ends["b"] - ends["a"] + 1) // buckets))
+    bucket = F.least(F.lit(buckets), F.greatest(F.lit(-1), F.floor((F.col("x") - F.lit(ends["a"])) / F.lit(width)))).cast("int").alias("_b")
+    counted = written(keys.groupBy("x").agg(F.count("*").alias("_c")).select("x", "_c", bucket), "keys")
+    before = counted.groupBy("_b").agg(F.sum("_c").alias("_n"))  # at most ``buckets`` rows
+    every = keys.sparkSession.range(-1, buckets + 1).select(F.col("id").cast("int").alias("_b")).join(F.broadcast(before), "_b", "left")
+    ahead = every.select("_b", F.coalesce(F.sum("_n").over(Window.orderBy("_b").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("_ahead"))
+    own = probes.select(F.struct(*probes.columns).alias("_p"), "x").groupBy("x").agg(F.collect_list("_p").alias("_p"))
+    asked = own.select("x", "_p", bucket, F.lit(0).cast("long").alias("_c"))
+    both = asked.unionByName(counted.withColumn("_p", F.lit(None).cast(asked.schema["_p"].dataType)))
+    w = Window.partitionBy("_b").orderBy("x", F.col("_p").isNull()).rowsBetween(Window.unboundedPreceding, 0)  # probes before keys of their value
+    ranked = both.withColumn("_r", F.sum("_c").over(w)).filter("_p is not null").join(F.broadcast(ahead), "_b")
+    return ranked.select(F.explode("_p").alias("_p"), (F.col("_r") + F.col("_ahead")).cast("long").alias("n_below")).select("_p.*", "n_below")
+
+
+def _differences(parts: list[tuple[DataFrame, DataFrame, int]]) -> DataFrame:
+    out = None
+    for keys, probes, sign in parts:
+        one = below(keys, probes).select("interval_id", (F.lit(sign) * F.col("n_below")).alias("n"))
+        out = one if out is None else out.unionByName(one)
+    return out.groupBy("interval_id").agg(F.sum("n").cast("long").alias("n")).filter("n > 0")
+
+
+def points_within(intervals: DataFrame, points: DataFrame) -> DataFrame:
+    """(interval_id, n): how many points (x) lie in each interval of any length, where there are some."""
+    at = lambda c: intervals.select(F.col("iv_id").alias("interval_id"), F.col(c).alias("x"))
+    return _differences([(points.select("x"), at("t_hi"), 1), (points.select("x"), at("t_lo"), -1)])
+
+
+def overlap_counts(a: DataFrame, b: DataFrame) -> DataFrame:
+    """(interval_id, n): how many intervals of b each interval of a meets, where there are some, without forming pairs: those
+    that begin before its end less those that end by its begin."""
+    at = lambda c: a.select(F.col("iv_id").alias("interval_id"), c.alias("x"))
+    return _differences([(b.select(F.col("t_lo").alias("x")), at(F.col("t_hi")), 1), (b.select(F.col("t_hi").alias("x")), at(F.col("t_lo") + 1), -1)])
+
+
 def build_point_grid(points: DataFrame, axes: list[str], sizes: list[int]) -> DataFrame:
     """points with cell_0, cell_1 ...: the packing applied axis by axis, within the cells of the axes before."""
     out, by = points, []

@@ -450,6 +450,20 @@ def event_in_interval_join(spark, sf):
     return iv.join(ev, "slot").filter((F.col("x") >= F.col("t_lo")) & (F.col("x") < F.col("t_hi"))).groupBy(F.col("iv_id").alias("interval_id")).agg(F.count("*").alias("n"))
 
 
+# the two joins above over whole tables, as counts per interval: of the longest gaps and shortest trips too
+
+add("interval_overlap_counts", f"SELECT a.event_id AS interval_id, count(*) AS n FROM ({R['trips']}) a JOIN ({R['trips']}) b ON a.t_lo < b.t_hi AND b.t_lo < a.t_hi GROUP BY 1")(
+    lambda spark, sf: g.overlap_counts(slim(spark, sf, "trips"), slim(spark, sf, "trips"))
+)
+
+
+@add("event_in_any_interval_join", f"SELECT r.event_id AS interval_id, count(*) AS n FROM ({R['gaps']}) r JOIN events e ON epoch_us(e.ts) >= r.t_lo AND epoch_us(e.ts) < r.t_hi GROUP BY 1")
+def event_in_any_interval_join(spark, sf):
+    from ..model import axis
+
+    return g.points_within(slim(spark, sf, "gaps"), src.read(spark, sf, "events").select(axis(F.col("ts")).alias("x")))
+
+
 add("point_grid", f"""WITH RECURSIVE base AS (SELECT vec_id, CAST(floor(CAST(embedding[1] AS DOUBLE) * 1000) AS BIGINT) AS x, CAST(floor(CAST(embedding[2] AS DOUBLE) * 1000) AS BIGINT) AS y FROM embeddings), {twins.packed("c", "base", "x", 100)},
 half AS (SELECT base.*, c.g AS c0 FROM base JOIN c ON c.key = base.x), {twins.packed("d", "half", "y", 10, "c0")} SELECT vec_id, CAST(c0 AS BIGINT) AS cell_0, CAST(d.g AS BIGINT) AS cell_1 FROM half JOIN d ON d.b = half.c0 AND d.key = half.y""")(
     lambda spark, sf: g.build_point_grid(src.points(spark, sf), ["x", "y"], [100, 10]).select("vec_id", "cell_0", "cell_1")
