@@ -158,6 +158,12 @@ def unpivot(spark, sf):
     return e.unpivot(["event_id"], ["user_id", "twice"], "name", "v")
 
 
+@add("rel_unpivot_whole", "SELECT event_id, name, v FROM (SELECT event_id, CAST(user_id AS BIGINT) AS user_id, CAST(event_id * 2 AS BIGINT) AS twice FROM events) UNPIVOT (v FOR name IN (user_id, twice))")
+def unpivot_whole(spark, sf):
+    e = t(spark, sf, "events").select("event_id", "user_id", (F.col("event_id") * 2).alias("twice"))
+    return e.unpivot(["event_id"], ["user_id", "twice"], "name", "v")
+
+
 @add("rel_agg_percentile", f"SELECT quantile_cont(dur, 0.5) AS median, quantile_cont(dur, 0.9) AS p90, arg_max(event_id, dur * 1000000 + event_id) AS longest FROM ({R['trips']})")
 def agg_percentile(spark, sf):
     return src.trips(spark, sf).agg(F.percentile("dur", F.lit(0.5)).alias("median"), F.percentile("dur", F.lit(0.9)).alias("p90"), F.max_by("event_id", F.col("dur") * 1000000 + F.col("event_id")).alias("longest"))
@@ -242,6 +248,11 @@ def explode_days(spark, sf):
     return src.presc(spark, sf).filter("dur <= 5").select(F.explode(F.sequence("t_lo", F.col("t_hi") - 1)).alias("day")).groupBy("day").agg(F.count("*").alias("n"))
 
 
+@add("rel_explode_days_whole", f"SELECT CAST(d AS BIGINT) AS day, count(*) AS n FROM (SELECT unnest(range(t_lo, t_hi)) AS d FROM ({R['presc']})) GROUP BY 1")
+def explode_days_whole(spark, sf):
+    return src.presc(spark, sf).select(F.explode(F.sequence("t_lo", F.col("t_hi") - 1)).alias("day")).groupBy("day").agg(F.count("*").alias("n"))
+
+
 @add("rel_nulls_and_cases", "SELECT l_returnflag, count(*) AS n FROM (SELECT CASE WHEN l_quantity > 40 THEN NULL WHEN l_quantity IN (1, 2, 3) THEN 'few' ELSE l_returnflag END AS l_returnflag FROM lineitem) WHERE coalesce(l_returnflag, 'none') <> 'R' GROUP BY 1")
 def nulls_and_cases(spark, sf):
     q = F.col("l_quantity")

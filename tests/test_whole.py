@@ -36,3 +36,15 @@ def test_below(spark):
         got = g.below(spark.createDataFrame([(k,) for k in keys], "x long"), spark.createDataFrame(probes, "id int, x long"), buckets).collect()
         assert sorted((r["id"], r["n_below"]) for r in got) == [(i, sum(k < x for k in keys)) for i, x in probes]
     assert [r["n_below"] for r in g.below(spark.createDataFrame([], "x long"), spark.createDataFrame([(1, 5)], "id int, x long")).collect()] == [0]
+
+
+def test_unpivot_of_all_events(spark, sf):
+    con, found = twin(spark, sf, "rel_unpivot_whole")
+    assert len(found) == 2 * con.sql("SELECT count(*) FROM events").fetchall()[0][0]
+
+
+def test_days_of_all_intervals(spark, sf):
+    from spangrid.plans import twins
+
+    con, found = twin(spark, sf, "rel_explode_days_whole")
+    assert sum(n for _, n in found) == con.sql(f"SELECT sum(dur) FROM ({twins.RELATIONS['presc']})").fetchall()[0][0]
