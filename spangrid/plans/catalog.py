@@ -450,6 +450,21 @@ def event_in_interval_join(spark, sf):
     return iv.join(ev, "slot").filter((F.col("x") >= F.col("t_lo")) & (F.col("x") < F.col("t_hi"))).groupBy(F.col("iv_id").alias("interval_id")).agg(F.count("*").alias("n"))
 
 
+@add("grid_count", twins.counts(R["presc"], twins.literal(MID["presc"])))
+def grid_count(spark, sf):
+    """The table function on a saved grid, once for each query."""
+    import uuid
+
+    from ..functions import surface
+    from ..storage import shared_dir
+
+    surface.register(spark)
+    path = f"{shared_dir(spark)}/grid-count-{uuid.uuid4().hex}"
+    g.build_grid(slim(spark, sf, "presc"), g.GridSpec(PAGE)).save(path)
+    wl.query_set(spark, MID["presc"]).createOrReplaceTempView("v_queries")
+    return spark.sql("SELECT CAST(qid AS BIGINT) AS qid, matched FROM v_queries, LATERAL grid_count(:path, q_lo, q_hi, d_min, d_max)", args={"path": path})
+
+
 # the two joins above over whole tables, as counts per interval: of the longest gaps and shortest trips too
 
 add("interval_overlap_counts", f"SELECT a.event_id AS interval_id, count(*) AS n FROM ({R['trips']}) a JOIN ({R['trips']}) b ON a.t_lo < b.t_hi AND b.t_lo < a.t_hi GROUP BY 1")(

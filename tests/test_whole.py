@@ -48,3 +48,25 @@ def test_days_of_all_intervals(spark, sf):
 
     con, found = twin(spark, sf, "rel_explode_days_whole")
     assert sum(n for _, n in found) == con.sql(f"SELECT sum(dur) FROM ({twins.RELATIONS['presc']})").fetchall()[0][0]
+
+
+def test_grid_count(spark, sf, tmp_path):
+    """Boundary pages count too, also for a query that covers no page."""
+    from spangrid.functions import surface
+    from spangrid.plans import catalog
+    from spangrid.sources.intervals import presc
+
+    _, found = twin(spark, sf, "grid_count")
+    assert any(n for _, n in found)
+    df = catalog.slim(spark, sf, "presc")
+    one = presc(spark, sf).select("t_lo", "dur").first()
+    surface.register(spark)
+    for order in (g.START_FIRST, g.DURATION_FIRST):
+        at = str(tmp_path / order)
+        g.build_grid(df, g.GridSpec(50, order=order)).save(f"file://{at}")
+        for path in (at, f"file://{at}"):
+            for q in ((one["t_lo"], one["t_lo"] + 1, one["dur"], one["dur"]), (9770, 9952, None, None), (None, None, None, None), (None, 9770, 30, None), (5, 5, None, None)):
+                lo, hi, a, b = ("NULL" if v is None else v for v in q)
+                got = spark.sql(f"SELECT * FROM grid_count('{path}', {lo}, {hi}, {a}, {b})").collect()
+                ok = " AND ".join(["TRUE", *(f"{c} {v}" for c, v in (("t_lo <", q[1]), ("t_hi >", q[0]), ("dur >=", q[2]), ("dur <=", q[3])) if v is not None)])
+                assert [r["matched"] for r in got] == [0 if q[0] == q[1] == 5 else df.filter(ok).count()]
