@@ -172,7 +172,7 @@ def _tied(least: int):
         order = order[df[where[order]] > 1]  # shingles of one text alone are in no intersection
         column = np.cumsum(np.concatenate([[0], where[order][1:] != where[order][:-1]])) if len(order) else order
         common = np.zeros((len(n), len(n)), np.float32)
-        cuts = np.searchsorted(column, np.arange(0, (column[-1] if len(column) else 0) + WIDTH, WIDTH))
+        cuts = np.searchsorted(column, np.arange(0, (column[-1] + 1 if len(column) else 0) + WIDTH, WIDTH))
         for x, y in zip(cuts[:-1], cuts[1:]):
             m = np.zeros((len(n), WIDTH), np.float32)
             m[row[order[x:y]], column[x:y] % WIDTH] = 1

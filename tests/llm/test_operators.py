@@ -68,6 +68,18 @@ def test_minhash(docs, local, nothing, k):
     assert minhash.keep_one(docs, k).columns == docs.columns
 
 
+@pytest.mark.parametrize("shared", [minhash.WIDTH - 1, minhash.WIDTH, minhash.WIDTH + 1, 2 * minhash.WIDTH + 1])
+def test_tied_counts_every_shared_shingle(shared):
+    """Links exactly at the limit, at and around whole blocks of shared shingles."""
+    import pyarrow as pa
+
+    union = shared * 100 // 80
+    sets = [np.arange(shared), np.arange(union)]
+    table = lambda sets: pa.table({"rep": [1, 2], "c": pa.array([1, 2], pa.int64()), "shingles": pa.array([x.tolist() for x in sets], pa.list_(pa.int64()))})
+    assert minhash._tied(80)(table(sets)).to_pylist() == [{"a": 1, "b": 2}]
+    assert minhash._tied(80)(table([sets[0], np.arange(union + 1)])).num_rows == 0
+
+
 def test_components_step_by_step(spark, monkeypatch):
     edges = spark.createDataFrame([(i, i + 1) for i in range(0, 40)] + [(100, j) for j in range(101, 130)] + [(7, 7)], "a long, b long")
     monkeypatch.setattr("spangrid.llm.components.FEW", 0)
