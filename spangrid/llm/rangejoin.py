@@ -10,8 +10,9 @@ being one group of bounded size; a group returns one count for each probe and a
 In data without structure few cells can be ruled out and the work is quadratic, as for any exact join; the
 number of pivots (a bounded sample) changes only the cost.
 
-Results by case: vectors that are null, empty, zero or hold null or non-finite components, those of another length
-than the most frequent, and those without an id link with nothing and are kept; repeated rows are linked.
+Results by case: vectors that are null, empty, zero or hold null or non-finite components, and those without an id link
+with nothing and are kept; vectors link with those of their own length only, each length being a join of its own; repeated
+rows are linked.
 """
 
 from __future__ import annotations
@@ -108,6 +109,22 @@ def _meet(least: float):
     return run
 
 
+def _met(groups: DataFrame, length: int, k: int, least: float) -> DataFrame:
+    """(a, b, n) of the k different vectors of a length: n links of a where n > 0, else an edge of a forest."""
+    packed = written(_packed(groups.filter(F.size("e") == length)), "packed")
+    count = min(MOST_PIVOTS, max(1, round(k / CELL)))
+    pivots = _unit([bytes(r["v"]) for r in packed.orderBy(F.xxhash64("rep"), "rep").limit(count).collect()])
+    dealt = written(_dealt(packed, pivots, math.sqrt(2 - 2 * least)), "cells")
+    sums = {(r["cell"], r["side"]): r["count"] for r in dealt.groupBy("cell", "side").count().collect()}  # two a pivot
+    cut = lambda side, size: F.array(*[F.lit(max(1, -(-sums.get((c, side), 0) // size))) for c in range(count)])
+    of = lambda side, size: F.element_at(cut(side, size), F.col("cell") + 1)
+    own = lambda side, size: F.pmod(F.xxhash64("rep"), of(side, size))
+    every = lambda side, size: F.explode(F.sequence(F.lit(0), of(side, size) - 1))
+    home = dealt.filter("side = 0").withColumn("s", own(0, HOMES).cast("int")).withColumn("q", every(1, PROBES))
+    probe = dealt.filter("side = 1").withColumn("q", own(1, PROBES).cast("int")).withColumn("s", every(0, HOMES))
+    return written(home.unionByName(probe).groupBy("cell", "s", "q").applyInPandas(_meet(least), "a long, b long, n long"), "met")
+
+
 def near_vectors(vectors: DataFrame, least: float = 0.95) -> DataFrame:
     """vec_id, n_links, component_id and kept of every row of vectors (vec_id, embedding)."""
     spark = vectors.sparkSession
@@ -115,22 +132,14 @@ def near_vectors(vectors: DataFrame, least: float = 0.95) -> DataFrame:
     fine = (F.size("e") > 0) & ~F.exists("e", lambda x: x.isNull() | F.isnan(x) | (F.abs(x) == float("inf"))) & F.exists("e", lambda x: x != 0)
     rows = rows.withColumn("e", F.when(F.coalesce(fine, F.lit(False)) & F.col("vec_id").isNotNull(), F.col("e")))
     groups = written(rows.filter("e is not null").groupBy("e").agg(F.min("vec_id").alias("rep"), F.count("*").alias("w")), "vectors")
-    sizes = groups.groupBy(F.size("e").alias("d")).agg(F.sum("w").alias("n"), F.count("*").alias("k")).orderBy(F.desc("n"), "d").first()
-    if sizes is None:
+    sizes = groups.groupBy(F.size("e").alias("d")).agg(F.count("*").alias("k")).filter("k > 1").orderBy("d").collect()  # one a length
+    if not sizes:
         part, counts = spark.createDataFrame([], "node long, component long"), spark.createDataFrame([], "rep long, n long")
     else:
-        packed = written(_packed(groups.filter(F.size("e") == sizes["d"])), "packed")
-        count = min(MOST_PIVOTS, max(1, round(sizes["k"] / CELL)))
-        pivots = _unit([bytes(r["v"]) for r in packed.orderBy(F.xxhash64("rep"), "rep").limit(count).collect()])
-        dealt = written(_dealt(packed, pivots, math.sqrt(2 - 2 * least)), "cells")
-        sums = {(r["cell"], r["side"]): r["count"] for r in dealt.groupBy("cell", "side").count().collect()}  # two a pivot
-        cut = lambda side, size: F.array(*[F.lit(max(1, -(-sums.get((c, side), 0) // size))) for c in range(count)])
-        of = lambda side, size: F.element_at(cut(side, size), F.col("cell") + 1)
-        own = lambda side, size: F.pmod(F.xxhash64("rep"), of(side, size))
-        every = lambda side, size: F.explode(F.sequence(F.lit(0), of(side, size) - 1))
-        home = dealt.filter("side = 0").withColumn("s", own(0, HOMES).cast("int")).withColumn("q", every(1, PROBES))
-        probe = dealt.filter("side = 1").withColumn("q", own(1, PROBES).cast("int")).withColumn("s", every(0, HOMES))
-        met = written(home.unionByName(probe).groupBy("cell", "s", "q").applyInPandas(_meet(least), "a long, b long, n long"), "met")
+        met = None
+        for r in sizes:
+            one = _met(groups, r["d"], r["k"], least)
+            met = one if met is None else met.unionByName(one)
         counts = written(met.filter("n > 0").groupBy(F.col("a").alias("rep")).agg(F.sum("n").alias("n")), "counts")
         part = components(met.filter("n = 0").select("a", "b"))
     named = groups.join(part, F.col("rep") == F.col("node"), "left").join(counts, "rep", "left")

@@ -149,6 +149,13 @@ def test_rangejoin(spark, monkeypatch, sf):
     assert rangejoin.near_vectors(df.limit(0)).isEmpty()
 
 
+def test_rangejoin_of_mixed_lengths(spark):
+    """Vectors link within their own length, whichever length is most frequent."""
+    rows = [(i, [1.0, 0.01 * i, 0.0]) for i in range(5)] + [(10 + i, [0.0, 1.0, 0.01 * i, 0.0]) for i in range(3)] + [(20, [1.0, 0.0]), (21, [1.0, 0.0]), (22, [0.0, 1.0]), (30, [1.0] * 9), (31, [1.0] * 9)]
+    got = [tuple(r) for r in rangejoin.near_vectors(spark.createDataFrame(rows, "vec_id long, embedding array<double>")).collect()]
+    same(got, [(i, 4, 0, i == 0) for i in range(5)] + [(10 + i, 2, 10, i == 0) for i in range(3)] + [(20, 1, 20, True), (21, 1, 20, False), (22, 0, 22, True), (30, 1, 30, True), (31, 1, 30, False)])
+
+
 @pytest.mark.parametrize("together", [2, 64])
 def test_suffixes(spark, awkward, monkeypatch, together, nothing):
     monkeypatch.setattr(suffixes, "TOGETHER", together)
