@@ -191,10 +191,11 @@ class Bits:
         return (self.bits[(at >> np.uint64(6)).astype(np.int64)] >> (at & np.uint64(63))) & np.uint64(1) > 0
 
 
-def _followed(docs: DataFrame, depth: int, among: Bits) -> DataFrame:
-    """(k, x, y, n): training counts of what follows the contexts of ``depth`` tokens that ``among`` lets through."""
+def _followed(docs: DataFrame, depth: int, among: Bits, often_enough: Bits) -> DataFrame:
+    """(k, x, y, n): training counts, LEAST_PAIR at least, of what follows the contexts of ``depth`` tokens that ``among`` lets
+    through. What follows a suffix fewer times follows the context fewer times too, so ``often_enough`` drops it unmoved."""
     names = ["k", "x", "y", "n"]
-    shared = docs.sparkSession.sparkContext.broadcast(among)
+    shared = docs.sparkSession.sparkContext.broadcast((among, often_enough))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         some: list[tuple[np.ndarray, ...]] = []
@@ -212,7 +213,7 @@ def _followed(docs: DataFrame, depth: int, among: Bits) -> DataFrame:
             for t in texts_of(batch.column("text")):
                 for d, _, x, k, y in Sequence(t).token_contexts():
                     if d == depth:
-                        in_ = shared.value.has(x)
+                        in_ = shared.value[0].has(x) & shared.value[1].has(y)
                         some.append((k[in_], x[in_], y[in_]))
                 if sum(len(c[0]) for c in some) >= HAND_ON:
                     yield from hand_on()
@@ -239,7 +240,8 @@ def _token_states(docs: DataFrame, words: DataFrame, total: int, distinct: int,
         n_able = able.count()
         if not n_able:
             break
-        seen = written(_followed(docs, d, Bits(able, "k", n_able)), "followed")
+        enough = above.filter(F.col("n") >= LEAST_PAIR)
+        seen = written(_followed(docs, d, Bits(able, "k", n_able), Bits(enough, "k", enough.count())), "followed")
         per = seen.groupBy("x").agg(F.count("*").alias("kinds"), F.sum("n").alias("s")).join(able.select(F.col("k").alias("x"), F.col("n").alias("total")), "x")
         every = F.col("total") + F.col("kinds")
         left = every - F.col("s")
