@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 
 from .components import components, least_labels
 from .flat import BYTE_CODE, LOWER, SLICE_BYTES, Texts, mix, per_text, prefix_hash, span_hash, texts_of
-from .tables import written
+from .tables import forget, sifted, written
 
 BANDS, ROWS, BITS = 28, 4, 8
 HASHES = BANDS * ROWS
@@ -143,6 +143,12 @@ def _overlaps(pairs: DataFrame, k: int, least: int) -> DataFrame:
     return pairs.select("a", "b", "ta", "tb").mapInArrow(run, "a long, b long")
 
 
+def _of(texts: DataFrame, ids: DataFrame) -> DataFrame:
+    """The texts with these ids; a shared bitmap drops most others before anything moves."""
+    ids = written(ids.distinct(), "ids")
+    return sifted(texts, "doc_id", ids).join(ids, "doc_id", "left_semi")
+
+
 def _spelt(texts: DataFrame, k: int) -> DataFrame:
     """(doc_id, shingles): the fingerprints of each text's shingles."""
 
@@ -208,8 +214,7 @@ def near_duplicates(docs: DataFrame, k: int = 5, least: int = 80) -> DataFrame:
         pairs = written(pairs.distinct(), "pairs")
         if pairs.isEmpty():
             return pairs
-        ends = pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
-        some = written(texts.join(ends, "doc_id", "left_semi"), "texts")
+        some = written(_of(texts, pairs.select(F.explode(F.array("a", "b")).alias("doc_id"))), "texts")
         side = lambda c, t: some.select(F.col("doc_id").alias(c), F.col("text").alias(t))
         return written(_overlaps(pairs.join(side("a", "ta"), "a").join(side("b", "tb"), "b"), k, least), "links")
 
@@ -225,8 +230,7 @@ def near_duplicates(docs: DataFrame, k: int = 5, least: int = 80) -> DataFrame:
     part = components(links)
     left = written(placed(in_bucket.select("key", "rep"), part), "left")
     if not left.isEmpty():
-        ends = left.select(F.col("rep").alias("doc_id")).distinct()
-        spelt = written(_spelt(texts.join(ends, "doc_id", "left_semi"), k).withColumnRenamed("doc_id", "rep"), "spelt")
+        spelt = written(_spelt(_of(texts, left.select(F.col("rep").alias("doc_id"))), k).withColumnRenamed("doc_id", "rep"), "spelt")
         # shingles that no other open text has are in no intersection, so few others bound what a text can share in its bucket
         alone = spelt.select("rep", F.explode("shingles").alias("g")).groupBy("g").agg(F.min("rep").alias("rep"), F.max("rep").alias("x")).filter("rep = x")
         alone = written(alone.groupBy("rep").agg(F.count("*").alias("own")), "alone")
@@ -250,6 +254,14 @@ def near_duplicates(docs: DataFrame, k: int = 5, least: int = 80) -> DataFrame:
 
 
 def keep_one(docs: DataFrame, k: int = 5, least: int = 80) -> DataFrame:
-    """docs with one document of each group of near-duplicates, that of the smallest id; all columns stay."""
-    gone = near_duplicates(docs, k, least).filter("not kept").select(F.col("doc_id").alias("_gone"))
-    return docs.join(gone, F.col("doc_id") == F.col("_gone"), "left_anti")
+    """docs with one document of each group of near-duplicates, that of the smallest id; all columns stay. Of rows that repeat
+    both an id and a text one stays."""
+    names = [f"x{i}" for i in range(len(docs.columns))]  # so that no column is taken for another
+    own, text = (names[docs.columns.index(c)] for c in ("doc_id", "text"))
+    found = written(near_duplicates(docs.select("doc_id", "text"), k, least).select("doc_id", "kept"), "found")
+    rows = docs.toDF(*names)
+    gone = found.filter("not kept").select(F.col("doc_id").alias("gone"))
+    left = rows.join(gone, F.col(own).cast("long") == F.col("gone"), "left_anti")
+    if not found.filter("doc_id is not null").groupBy("doc_id").count().filter("count > 1").isEmpty():
+        left = left.filter(F.col(own).isNotNull()).dropDuplicates([own, text]).unionByName(left.filter(F.col(own).isNull()))
+    return left.toDF(*docs.columns)

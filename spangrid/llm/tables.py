@@ -1,37 +1,21 @@
-"""Reading the given tables, and tables written to cut lineage."""
+"""Reading the given tables, and what several operators do with tables."""
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..storage import forget, shared_dir, written  # noqa: F401
+
 TEXT_COLUMNS = ("doc_id", "text")
+#: Bits of the bitmaps below, at most, as a power of two: as words of 64 bits a million rows.
+MOST_BITS = 26
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share, as the session names it; a temporary one only where none is named."""
-    at = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir", None)
-    if not at:
-        at = tempfile.mkdtemp(prefix="spangrid-")
-        spark.conf.set("spark.checkpoint.dir", at)
-    return at
-
-
-def written(df: DataFrame, label: str) -> DataFrame:
-    """df written once to the shared folder and read from there: survives lost executors, computed once."""
-    spark = df.sparkSession
-    at = f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}"
-    df.write.parquet(at)
-    return spark.read.schema(df.schema).parquet(at)
-
-
 def remainder(doc_id: Column, by: int) -> Column:
     """crc32 of the id as text, modulo ``by``; a null id counts as 0."""
     return F.coalesce(F.pmod(F.crc32(doc_id.cast("string").cast("binary")), F.lit(by)), F.lit(0))
@@ -40,3 +24,28 @@ def remainder(doc_id: Column, by: int) -> Column:
 def widened(df: DataFrame, **types: str) -> str:
     """DDL of df's columns and some more; df's own schema stays as it is."""
     return ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in df.schema.fields), *(f"{k} {v}" for k, v in types.items())])
+
+
+def flagged(df: DataFrame, column: str, keys: DataFrame, into: str) -> DataFrame:
+    """df with ``into``: false only where the long ``column`` is surely none of keys' (one column), by a shared bitmap.
+
+    Keys that meet in a bit let more through, so what must be exact is joined afterwards, by rows that are few unless the keys
+    are many. The bitmap grows with the keys up to 2 ** MOST_BITS bits.
+    """
+    log = min(MOST_BITS, max(10, (16 * keys.count()).bit_length()))
+
+    def place(c: str) -> tuple[Column, Column]:
+        at = F.shiftrightunsigned(F.xxhash64(F.col(c).cast("long")), 64 - log)
+        return F.shiftright(at, 6), at.bitwiseAND(F.lit(63)).cast("int")
+
+    i, j = place(keys.columns[0])
+    words = written(keys.select(i.alias("_i"), F.call_function("shiftleft", F.lit(1).cast("long"), j).alias("_w")).groupBy("_i").agg(F.bit_or("_w").alias("_w")), "bitmap")
+    i, j = place(column)
+    own = df.withColumns({"_at": i, "_j": j})
+    bit = F.call_function("shiftrightunsigned", F.col("_w"), F.col("_j")).bitwiseAND(F.lit(1))
+    return own.join(F.broadcast(words), F.col("_at") == F.col("_i"), "left").withColumn(into, F.coalesce(bit == 1, F.lit(False))).drop("_at", "_j", "_i", "_w")
+
+
+def sifted(df: DataFrame, column: str, keys: DataFrame) -> DataFrame:
+    """Rows of df that the bitmap of keys lets through."""
+    return flagged(df, column, keys, "_may").filter("_may").drop("_may")
