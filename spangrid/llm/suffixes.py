@@ -29,7 +29,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .flat import BYTE_CODE, prefix_hash, span_hash, texts_of
-from .tables import written
+from .tables import flagged, forget, sifted, written
 
 LENGTH, GRAM = 400, 128
 #: Different segments of one anchor that are sorted together, at most.
@@ -289,11 +289,14 @@ def covers(keyed: DataFrame, length: int = LENGTH, gram: int = GRAM) -> DataFram
     spans = whole.select("k", F.col("q").cast("long").alias("lo"), (F.col("q") + F.col("n") - 1 + length).cast("long").alias("hi"))
     flagged = segs.join(many, F.col("a") == F.col("_a"), "left").withColumn("many", F.col("_a").isNotNull())
     wanted = written(flagged.groupBy("k").agg(F.collect_list(F.struct("a", "s", "c", "many", "q", "n")).alias("segs")), "wanted")
-    found = written(_segments(keyed.join(wanted.hint("merge"), "k"), length).dropDuplicates(["k", "q"]), "found")
+    some = sifted(keyed, "k", wanted.select("k")).join(wanted.hint("merge"), "k")
+    found = written(_segments(some, length).dropDuplicates(["k", "q"]), "found")
     parts = int(keyed.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     together = found.filter("not many").repartitionByRange(parts, "a").sortWithinPartitions("a")
     spans = spans.unionByName(_sorted_together(together, length)).unionByName(_sorted_apart(found.filter("many"), length))
-    return written(_merged(spans), "covers")
+    out = written(_merged(spans), "covers")
+    forget(classes, anchors, again, segs, many, twice, wanted, found)
+    return out
 
 
 def remove_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM) -> DataFrame:
@@ -301,7 +304,10 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM) -> D
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
     keyed = rows.withColumn("k", F.xxhash64("doc_id", "text"))
     cover = covers(keyed.select("k", "text"), length, gram)
-    joined = keyed.join(cover.hint("merge"), "k", "left").select("doc_id", "text", "cover")
+    # only rows that may have a cover meet the covers
+    marked = flagged(keyed, "k", cover.select("k"), "may")
+    joined = marked.filter("may").join(cover.hint("merge"), "k", "left").select("doc_id", "text", "cover")
+    joined = joined.unionByName(marked.filter("not may").select("doc_id", "text", F.lit(None).cast("array<long>").alias("cover")))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in (x.slice(i, SLICE_ROWS) for x in batches for i in range(0, x.num_rows, SLICE_ROWS)):
