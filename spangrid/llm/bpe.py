@@ -13,6 +13,7 @@ repeated rows and null ids give one result row each; other columns of the input
 
 from __future__ import annotations
 
+import functools
 import hashlib
 import json
 import re
@@ -20,6 +21,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute  # noqa: F401
 import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -41,6 +43,7 @@ def _visible() -> dict[str, int]:
     return {chr(b): b for b in plain} | {chr(256 + i): b for i, b in enumerate(rest)}
 
 
+@functools.cache
 def basic_plane_words() -> re.Pattern:
     """WORDS for texts within the basic plane, in the standard library's faster engine: the same classes, spelt as ranges."""
 
@@ -129,6 +132,14 @@ class Vocabulary:
         return sym[order], cut
 
 
+def decoded(v: Vocabulary, ids: np.ndarray, cut: np.ndarray) -> list[bytes]:
+    """UTF-8 of each decoded text; bytes that form no character become the replacement character."""
+    data, size = gather(v.bytes, v.cut, ids)
+    ends = np.concatenate([[0], np.cumsum(size)])[cut]
+    raw = data.tobytes()
+    return [raw[a:b].decode("utf-8", "replace").encode() for a, b in zip(ends[:-1].tolist(), ends[1:].tolist())]
+
+
 def gather(values: np.ndarray, cut: np.ndarray, which: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """The pieces values[cut[w]:cut[w + 1]] for w in which, joined, and their lengths."""
     size = cut[which + 1] - cut[which]
@@ -139,7 +150,7 @@ def gather(values: np.ndarray, cut: np.ndarray, which: np.ndarray) -> tuple[np.n
 
 
 class Encoder:
-    """Encodes and decodes batches with a memory of the words met so far."""
+    """Encodes batches with a memory of the words met so far."""
 
     def __init__(self, vocabulary: Vocabulary):
         self.v, self.words, self.basic = vocabulary, regex.compile(WORDS), basic_plane_words()
@@ -186,74 +197,72 @@ class Encoder:
         ends = np.concatenate([[0], np.cumsum(size)])
         return ids, ends[count]
 
-    def decode(self, ids: np.ndarray, cut: np.ndarray) -> list[bytes]:
-        """UTF-8 of each decoded text; bytes that form no character become the replacement character."""
-        data, size = gather(self.v.bytes, self.v.cut, ids)
-        ends = np.concatenate([[0], np.cumsum(size)])[cut]
-        raw = data.tobytes()
-        return [raw[a:b].decode("utf-8", "replace").encode() for a, b in zip(ends[:-1], ends[1:])]
 
-
-def _coded(batches: Iterator[pa.RecordBatch], encoder: Encoder) -> Iterator[tuple[pa.RecordBatch, np.ndarray, np.ndarray]]:
-    """Slices of the batches with the ids of their ``text``."""
+def _coded(batches: Iterator[pa.RecordBatch], vocabulary: Vocabulary, text: int) -> Iterator[tuple[pa.RecordBatch, np.ndarray, np.ndarray]]:
+    """Slices of the batches with the ids of their texts, column ``text``, and the texts' offsets in them."""
+    encoder = Encoder(vocabulary)
     for batch in batches:
-        for part in texts_of(batch.column("text")):
+        for part in texts_of(batch.column(text)):
             raw, c = part.data.tobytes(), part.cuts.tolist()
             yield batch.slice(part.row, len(part)), *encoder.encode([raw[a:b].decode() for a, b in zip(c, c[1:])])
 
 
-def encode(df: DataFrame, path: str, text: str = "text", into: str = "ids") -> DataFrame:
-    """df with one more column: the ids (array of int) of each whole text."""
-    shared = df.sparkSession.sparkContext.broadcast(Vocabulary(path))  # as large as the vocabulary file
+def _shared(df: DataFrame, path: str):
+    return df.sparkSession.sparkContext.broadcast(Vocabulary(path))  # as large as the vocabulary file
+
+
+def _strings(texts: list[bytes]) -> pa.Array:
+    return pa.array(texts, pa.binary()).cast(pa.string())
+
+
+def encode(df: DataFrame, path: str, text: str = "text", into: str = "ids", back: str | None = None) -> DataFrame:
+    """df with one more column: the ids (array of int) of each whole text; and, named ``back``, the text they stand for."""
+    shared = _shared(df, path)
     names = [f"c{i}" for i in range(len(df.columns))]
+    more = {"ids": "array<int>"} | ({"back": "string"} if back else {})
     at = df.columns.index(text)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder = Encoder(shared.value)
-        for batch in batches:
-            for part in texts_of(batch.column(at)):
-                raw, c = part.data.tobytes(), part.cuts.tolist()
-                ids, cut = encoder.encode([raw[a:b].decode() for a, b in zip(c, c[1:])])
-                lists = pa.ListArray.from_arrays(pa.array(cut.astype(np.int32)), pa.array(ids))
-                yield pa.RecordBatch.from_arrays([*batch.slice(part.row, len(part)).columns, lists], names=[*names, into])
+        for rows, ids, cut in _coded(batches, shared.value, at):
+            lists = pa.ListArray.from_arrays(pa.array(cut.astype(np.int32)), pa.array(ids))
+            texts = [_strings(decoded(shared.value, ids, cut))] if back else []
+            yield pa.RecordBatch.from_arrays([*rows.columns, lists, *texts], names=[*names, *more])
 
     plain = df.toDF(*names)
-    return plain.mapInArrow(run, widened(plain, **{into: "array<int>"})).toDF(*df.columns, into)
+    return plain.mapInArrow(run, widened(plain, **more)).toDF(*df.columns, into, *([back] if back else []))
 
 
 def decode(df: DataFrame, path: str, ids: str = "ids", into: str = "decoded") -> DataFrame:
     """df with one more column: the text that the ids stand for; null ids stand for the empty text."""
-    shared = df.sparkSession.sparkContext.broadcast(Vocabulary(path))
+    shared = _shared(df, path)
     names = [f"c{i}" for i in range(len(df.columns))]
     at = df.columns.index(ids)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder = Encoder(shared.value)
         for batch in batches:
-            lists = [np.asarray(x or (), np.int32) for x in batch.column(at).to_pylist()]
-            cut = np.concatenate([[0], np.cumsum([len(x) for x in lists], dtype=np.int64)]) if lists else np.zeros(1, np.int64)
-            texts = encoder.decode(np.concatenate([np.zeros(0, np.int32), *lists]), cut)
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array([t.decode() for t in texts], pa.string())], names=[*names, into])
+            lists = batch.column(at)
+            size = np.asarray(pa.compute.fill_null(pa.compute.list_value_length(lists), 0))
+            flat = np.asarray(lists.flatten(), np.int32)  # without what null lists hold
+            texts = decoded(shared.value, flat, np.concatenate([[0], np.cumsum(size, dtype=np.int64)]))
+            yield pa.RecordBatch.from_arrays([*batch.columns, _strings(texts)], names=[*names, "back"])
 
     plain = df.toDF(*names)
-    return plain.mapInArrow(run, widened(plain, **{into: "string"})).toDF(*df.columns, into)
+    return plain.mapInArrow(run, widened(plain, back="string")).toDF(*df.columns, into)
 
 
 def digests(docs: DataFrame, path: str) -> DataFrame:
     """Per document the count and digest of its ids, and the digest of what they decode to."""
-    shared = docs.sparkSession.sparkContext.broadcast(Vocabulary(path))
+    shared = _shared(docs, path)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder = Encoder(shared.value)
-        for rows, ids, cut in _coded(batches, encoder):
+        for rows, ids, cut in _coded(batches, shared.value, 1):
             raw = ids.astype("<u4").tobytes()
-            texts = encoder.decode(ids, cut)
             yield pa.RecordBatch.from_arrays(
                 [
-                    rows.column("doc_id"),
+                    rows.column(0),
                     pa.array(np.diff(cut)),
                     pa.array([hashlib.sha256(raw[4 * a : 4 * b]).hexdigest() for a, b in zip(cut[:-1].tolist(), cut[1:].tolist())], pa.string()),
-                    pa.array([hashlib.sha256(t).hexdigest() for t in texts], pa.string()),
+                    pa.array([hashlib.sha256(t).hexdigest() for t in decoded(shared.value, ids, cut)], pa.string()),
                 ],
                 names=["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"],
             )
