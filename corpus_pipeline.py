@@ -33,7 +33,7 @@ def mix_domains(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """doc_id, source and token ids, and the text that the ids decode to."""
     path = public_tokenizers.path(BPE_FILE)
-    return bpe.decode(bpe.encode(docs.select("doc_id", "source", "text"), path).drop("text"), path).withColumnRenamed("decoded", "text")
+    return bpe.encode(docs.select("doc_id", "source", "text"), path, back="decoded").drop("text").withColumnRenamed("decoded", "text")
 
 
 STAGES = [("toxicity", drop_toxic), ("near_duplicates", drop_near_copies), ("secrets", mask_secrets), ("mixing", mix_domains), ("encoding", encode)]
