@@ -7,7 +7,8 @@ enough different neighbours.
 The field then learns which hashed words, prefixes, suffixes and neighbours, and which transitions, go with
 those labels. Forward and backward passes run position by position over all chains of a slice at once; with
 two states each needs one number a token. A small logistic regression turns the marginals of a document (their
-sum, largest value and share) into its score; runs of tokens with marginals of one half or more are its spans.
+sum, largest value and share) into its score, learnt on a quarter of the sample that the field has not seen; runs of tokens
+with marginals of one half or more are its spans.
 
 Results by case: null and empty texts and texts without tokens have marginals of none and get that score; without
 labelled rows of both values all scores are 0; repeated rows and null ids give one row each. Only the text
@@ -32,6 +33,8 @@ PER_VALUE = 800
 FOLDS, CHAIN, BITS = 5, 256, 18
 #: A token's feature marks it toxic if so many toxic documents have it (or this share), at this odds.
 LEAST_DOCS, LEAST_SHARE, PRECISION = 4, 0.015, 0.97
+#: Each APART-th row of the sample sets the document score only, if those hold LEAST_APART rows of either value; the share counts in SHARES.
+APART, LEAST_APART, SHARES = 4, 10, 1000
 _U = np.uint64
 _IN = np.zeros(256, bool)
 _IN[[*range(48, 58), *range(65, 91), *range(97, 123), *range(128, 256)]] = True
@@ -135,9 +138,9 @@ class Field:
 
     @staticmethod
     def summary(p: np.ndarray, at: np.ndarray) -> np.ndarray:
-        """Columns 1, log(1 + sum), largest marginal, and share of the marginals, for each text."""
+        """Columns 1, log(1 + sum), largest marginal, and log(1 + SHARES * share) of the marginals, for each text."""
         total = per_text(p, at, empty=0.0)
-        return np.stack([np.ones(len(at) - 1), np.log1p(total), per_text(p, at, np.maximum, 0.0), total / np.maximum(np.diff(at), 1)], 1)
+        return np.stack([np.ones(len(at) - 1), np.log1p(total), per_text(p, at, np.maximum, 0.0), np.log1p(SHARES * total / np.maximum(np.diff(at), 1))], 1)
 
     def score(self, k: Tokens, p: np.ndarray) -> np.ndarray:
         return 1 / (1 + np.exp(-np.clip(self.summary(p, k.at) @ self.doc, -30, 30)))
@@ -187,12 +190,19 @@ def fit_texts(texts: list[str], toxic: np.ndarray) -> Field | None:
     if len(set(toxic.tolist())) < 2:
         return None
     field = Field()
-    parts = [Tokens(t) for t in texts_of(pa.array(texts, pa.large_string()))]
-    parts_y = _token_labels(parts, toxic.astype(bool))
+    rows = np.arange(len(texts))
+    apart = rows[rows % APART == APART - 1]
+    learnt = np.setdiff1d(rows, apart)
+    if np.bincount(toxic[apart], minlength=2).min() < LEAST_APART:
+        learnt = apart = rows
+    of = lambda rows: [Tokens(t) for t in texts_of(pa.array([texts[i] for i in rows], pa.large_string()))]
+    parts = of(learnt)
+    parts_y = _token_labels(parts, toxic[learnt].astype(bool))
     field.fit([(k, y) for k, y in zip(parts, parts_y) if len(y)])
-    x = np.concatenate([field.summary(field.marginals(k), k.at) for k in parts])
-    weight = np.where(toxic == 1, 0.5 / max(1, toxic.sum()), 0.5 / max(1, (1 - toxic).sum())) * len(toxic)
-    field.calibrate(x, toxic.astype(np.float64), weight)
+    x = np.concatenate([field.summary(field.marginals(k), k.at) for k in (parts if apart is learnt else of(apart))])
+    y = toxic[apart]
+    weight = np.where(y == 1, 0.5 / max(1, y.sum()), 0.5 / max(1, (1 - y).sum())) * len(y)
+    field.calibrate(x, y.astype(np.float64), weight)
     return field
 
 
