@@ -1,55 +1,62 @@
 """Soft-membership mixing of documents to target weights of domains.
 
-A hashed n-gram classifier, learnt from a bounded sample of the documents that the label table names, gives each whole text
-posterior probabilities p of the domains. With t the text's words, rates r >= 0 solve the least squares problem
+A hashed n-gram classifier, learnt from at most PER_DOMAIN labelled documents of each domain (those that the label table names
+and whose domain the targets name; all other domains are one more class, OTHER, if there are any), gives each whole text posterior
+probabilities p of the domains. With t the text's words, rates r >= 0 solve the least squares problem
 
     minimise  1/2 |sum_i r_i t_i p_i / T - target|^2  +  ridge/2 sum_i (t_i / T) (r_i - 1)^2
 
 by projected gradients with momentum: one distributed sum of a vector of domains per step gives the gradient of every
 row, and rows recompute their own rates from the short list of those vectors since the last written state. The
 expected domain totals of the weighted documents then match the targets as far as the documents allow, and rates stay
-near 1 where nothing forces them away.
+near 1 where nothing forces them away. The ridge shrinks with the smallest domain's share of the words, so that it moves no
+domain's total by more than RIDGE of it. A fit that has not come as near as CLOSE after STEPS steps, or nearer within PATIENCE
+steps (as where the documents allow no more), warns, with the gap left.
 
 Results by case: null and empty texts have no words; they get the rate their posterior gives and weigh nothing; a target domain that
-no labelled document has is left out and the others are scaled to one; without labelled documents all rates are 1.
+no labelled document has is left out and the others are scaled to one; without labelled documents of two classes all rates are 1.
+Equal rows share a rate and a number of copies; rows that share an id only have their own.
 """
 
 from __future__ import annotations
 
+import warnings
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .flat import texts_of
 from .hashed import Softmax
-from .tables import written
-
-#: Labelled documents of each domain that the classifier learns from, and domains, at most.
-PER_DOMAIN, MOST_DOMAINS = 250, 64
-RIDGE, STEPS, STATE_EVERY, CLOSE = 1e-3, 60, 10, 1e-3
-
-
-def learn(docs: DataFrame, labels: DataFrame, domain: str) -> Softmax | None:
-    """The classifier of the column ``domain`` from labelled documents, those first in the order of a hash."""
-    ids = labels.filter("doc_id is not null").select(F.col("doc_id").alias("_d")).distinct().orderBy(F.xxhash64("_d"), "_d").limit(PER_DOMAIN * 16)
-    rows = docs.select("doc_id", F.col(domain).cast("string").alias("_y")).join(F.broadcast(ids), F.col("doc_id") == F.col("_d"), "left_semi").filter("_y is not null")
-    known = rows.toPandas().sort_values(["doc_id", "_y"]).drop_duplicates("doc_id")  # at most 16 * PER_DOMAIN short rows
-    some = known.groupby("_y").head(PER_DOMAIN)
-    classes = sorted(some["_y"].value_counts().index[:MOST_DOMAINS])
-    some = some[some["_y"].isin(classes)]
+from .tables import forget, written
+
+#: Labelled documents of each domain that the classifier learns from, at most.
+PER_DOMAIN = 250
+OTHER = "other"
+RIDGE, STEPS, PATIENCE, STATE_EVERY, CLOSE = 1e-2, 200, 20, 10, 1e-3
+
+
+def learn(docs: DataFrame, labels: DataFrame, domains: list[str]) -> Softmax | None:
+    """The classifier of rows (doc_id, text, domain) into the domains and OTHER, from labelled rows, those first in a hash's order."""
+    known = labels.filter("doc_id is not null").select(F.col("doc_id").cast("long").alias("_d")).distinct()
+    own = F.when(F.col("domain").isin(domains), F.col("domain")).otherwise(OTHER)
+    # ids only, so that what moves is short; a task keeps no more of a class than its sample holds
+    rows = docs.filter("domain is not null").select(F.col("doc_id").alias("_d"), own.alias("_y")).join(known, "_d", "left_semi")
+    rows = rows.groupBy("_d").agg(F.min("_y").alias("_y"))
+    first = F.row_number().over(Window.partitionBy("_y").orderBy(F.xxhash64("_d"), "_d"))
+    some = rows.withColumn("_r", first).filter(F.col("_r") <= PER_DOMAIN)
+    texts = docs.withColumn("_o", own).join(F.broadcast(some), (F.col("doc_id") == F.col("_d")) & (F.col("_o") == F.col("_y")))
+    texts = texts.select("doc_id", F.coalesce("text", F.lit("")).alias("text"), "_y").toPandas().sort_values(["doc_id", "text"]).drop_duplicates("doc_id")
+    classes = [c for c in dict.fromkeys([*domains, OTHER]) if (texts["_y"] == c).any()]
     if len(classes) < 2:
         return None
-    pick = F.broadcast(docs.sparkSession.createDataFrame([(int(i),) for i in some["doc_id"]], "_d long"))
-    texts = docs.join(pick, F.col("doc_id") == F.col("_d")).select("doc_id", F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"), F.col(domain).cast("string").alias("_y")).toPandas()
-    texts = texts[texts["_y"].isin(classes)].sort_values(["doc_id", "text"])
     return Softmax(classes).fit(texts["text"].tolist(), texts["_y"].map(classes.index).to_numpy(np.int64), steps=40)
 
 
 def posteriors(docs: DataFrame, model: Softmax) -> DataFrame:
-    """docs (doc_id, text) -> doc_id, n_tokens and the posteriors p of the model's classes."""
+    """docs (doc_id, k, text) -> doc_id, k, n_tokens and the posteriors p of the model's classes."""
     shared = docs.sparkSession.sparkContext.broadcast(model)  # 2**17 weights a block and class
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -58,16 +65,17 @@ def posteriors(docs: DataFrame, model: Softmax) -> DataFrame:
             for t in texts_of(batch.column("text")):
                 p = own.predict(t)
                 lists = pa.FixedSizeListArray.from_arrays(pa.array(p.reshape(-1)), p.shape[1]).cast(pa.list_(pa.float64()))
-                yield pa.RecordBatch.from_arrays([batch.column("doc_id").slice(t.row, len(t)), pa.array(np.diff(t.words()[2]).astype(np.int64)), lists], names=["doc_id", "n_tokens", "p"])
+                ids = [batch.column(c).slice(t.row, len(t)) for c in ("doc_id", "k")]
+                yield pa.RecordBatch.from_arrays([*ids, pa.array(np.diff(t.words()[2]).astype(np.int64)), lists], names=["doc_id", "k", "n_tokens", "p"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n_tokens long, p array<double>")
+    return docs.select("doc_id", "k", "text").mapInArrow(run, "doc_id long, k long, n_tokens long, p array<double>")
 
 
-def _advance(p: np.ndarray, r: np.ndarray, before: np.ndarray, moves: list[tuple[np.ndarray, float, float]]) -> tuple[np.ndarray, np.ndarray]:
+def _advance(p: np.ndarray, r: np.ndarray, before: np.ndarray, moves: list[tuple[np.ndarray, float, float]], ridge: float) -> tuple[np.ndarray, np.ndarray]:
     """Rates, and those of the step before, after the moves (gradient vector, step size, momentum)."""
     for g, size, momentum in moves:
         y = r + momentum * (r - before)
-        r, before = np.maximum(0.0, y - size * (p @ g + RIDGE * (y - 1))), r
+        r, before = np.maximum(0.0, y - size * (p @ g + ridge * (y - 1))), r
     return r, before
 
 
@@ -75,23 +83,23 @@ def _matrix(column: pa.Array, d: int) -> np.ndarray:
     return np.asarray(column.flatten(), np.float64).reshape(-1, d)
 
 
-def _moved(state: DataFrame, moves: list, d: int) -> DataFrame:
+def _moved(state: DataFrame, moves: list, d: int, ridge: float) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            r, before = _advance(_matrix(b.column("p"), d), np.asarray(b.column("r")), np.asarray(b.column("before")), moves)
-            yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("n_tokens"), b.column("p"), pa.array(r), pa.array(before)], names=b.schema.names)
+            r, before = _advance(_matrix(b.column("p"), d), np.asarray(b.column("r")), np.asarray(b.column("before")), moves, ridge)
+            yield pa.RecordBatch.from_arrays([*(b.column(c) for c in ("doc_id", "k", "n_tokens", "p")), pa.array(r), pa.array(before)], names=b.schema.names)
 
-    return state.mapInArrow(run, "doc_id long, n_tokens long, p array<double>, r double, before double")
+    return state.mapInArrow(run, "doc_id long, k long, n_tokens long, p array<double>, r double, before double")
 
 
-def _totals(state: DataFrame, moves: list, momentum: float, d: int) -> np.ndarray:
+def _totals(state: DataFrame, moves: list, momentum: float, d: int, ridge: float) -> np.ndarray:
     """sum of y_i t_i p_i, where y are the rates after the moves, carried on by the momentum."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros(d)
         for b in batches:
             p = _matrix(b.column("p"), d)
-            r, before = _advance(p, np.asarray(b.column("r")), np.asarray(b.column("before")), moves)
+            r, before = _advance(p, np.asarray(b.column("r")), np.asarray(b.column("before")), moves, ridge)
             total += ((r + momentum * (r - before)) * np.asarray(b.column("n_tokens"))) @ p
         yield pa.RecordBatch.from_arrays([pa.array(np.arange(d)), pa.array(total)], names=["k", "v"])
 
@@ -102,43 +110,67 @@ def _totals(state: DataFrame, moves: list, momentum: float, d: int) -> np.ndarra
 
 
 def rates(docs: DataFrame, labels: DataFrame, targets: dict[str, float], domain: str = "lang") -> tuple[DataFrame, list[str]]:
-    """(doc_id, n_tokens, p, rate) of all documents, and the names of the domains that p is about."""
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), F.col(domain).alias(domain))
-    model = learn(rows, labels, domain)
+    """(doc_id, k, n_tokens, p, rate) of all documents, and the names of the domains that p is about; k is equal for rows of
+    equal id and text."""
+    text = F.col("text").cast("string")
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text.alias("text"), F.col(domain).cast("string").alias("domain")).withColumn("k", _row_key())
+    model = learn(rows, labels, sorted(targets))
     if model is None:
-        return rows.select("doc_id", F.size(F.regexp_extract_all(F.coalesce("text", F.lit("")), F.lit(r"[^\x20\x09-\x0D]+"), F.lit(0))).cast("long").alias("n_tokens"), F.array(F.lit(1.0)).alias("p"), F.lit(1.0).alias("rate")), ["all"]
+        words = F.size(F.regexp_extract_all(F.coalesce("text", F.lit("")), F.lit(r"[^\x20\x09-\x0D]+"), F.lit(0))).cast("long")
+        return rows.select("doc_id", "k", words.alias("n_tokens"), F.array(F.lit(1.0)).alias("p"), F.lit(1.0).alias("rate")), ["all"]
     d = len(model.classes)
     goal = np.array([max(0.0, targets.get(c, 0.0)) for c in model.classes])
     goal = goal / goal.sum() if goal.sum() else np.full(d, 1 / d)
     state = written(posteriors(rows, model).withColumn("r", F.lit(1.0)).withColumn("before", F.lit(1.0)), "mixing")
     words = float(state.agg(F.sum("n_tokens")).first()[0] or 0)
+    share = _totals(state, [], 0.0, d, 0.0) / words if words else goal
+    wanted = share[(goal > 0) & (share > 0)]
+    ridge = RIDGE * float(wanted.min()) if len(wanted) else RIDGE
     moves: list = []
+    old = []
+    left, best, since = np.inf, np.inf, 0
     for step in range(STEPS):
         momentum = step / (step + 3)
-        gap = (_totals(state, moves, momentum, d) / words if words else goal) - goal
-        if np.abs(gap).max() < CLOSE:
+        gap = ((_totals(state, moves, momentum, d, ridge) if step else share * words) / words if words else goal) - goal
+        left = np.abs(gap).max()
+        best, since = (left, step) if left < 0.99 * best else (best, since)
+        if left < CLOSE or step - since >= PATIENCE:
             break
-        moves = [*moves, (gap, 1 / (1 + RIDGE), momentum)]
+        moves = [*moves, (gap, 1 / (1 + ridge), momentum)]
         if len(moves) == STATE_EVERY:
-            state, moves = written(_moved(state, moves, d), "mixing"), []
-    return _moved(state, moves, d).select("doc_id", "n_tokens", "p", F.col("r").alias("rate")), model.classes
+            old.append(state)
+            state, moves = written(_moved(state, moves, d, ridge), "mixing"), []
+            forget(*old)
+            old = []
+    if left >= CLOSE:
+        warnings.warn(f"mixing: after {step + 1} steps a domain's share is still {left:.4f} from its target", stacklevel=2)
+    return _moved(state, moves, d, ridge).select("doc_id", "k", "n_tokens", "p", F.col("r").alias("rate")), model.classes
+
+
+def _row_key() -> Column:
+    return F.xxhash64(F.col("doc_id"), F.coalesce("text", F.lit("")), F.col("text").isNull())
 
 
-def copies(rate: Column, doc_id: Column, seed: int = 5) -> Column:
+def copies(rate: Column, key: Column, seed: int = 5) -> Column:
     """Whole copies of a document whose expected number is its rate."""
-    u = (F.xxhash64(F.lit(seed), doc_id) / F.lit(2.0**63) + 1) / 2
+    u = (F.xxhash64(F.lit(seed), key) / F.lit(2.0**63) + 1) / 2
     return F.floor(rate + u * (1 - 1e-12)).cast("int")
 
 
 def mix_documents(docs: DataFrame, labels: DataFrame, targets: dict[str, float], domain: str = "lang") -> DataFrame:
     """Per document its words, domain posteriors, rate and number of copies."""
     out, names = rates(docs, labels, targets, domain)
-    return out.select("doc_id", "n_tokens", *[F.element_at("p", k + 1).alias(f"p_{c}") for k, c in enumerate(names)], "rate", copies(F.col("rate"), F.col("doc_id")).alias("copies"))
+    return out.select("doc_id", "n_tokens", *[F.element_at("p", k + 1).alias(f"p_{c}") for k, c in enumerate(names)], "rate", copies(F.col("rate"), F.col("k")).alias("copies"))
 
 
 def resample(docs: DataFrame, labels: DataFrame, targets: dict[str, float], domain: str = "lang") -> DataFrame:
     """docs, every column kept, each row as many times as its rate asks for."""
     out, _ = rates(docs, labels, targets, domain)
-    number = written(out.select(F.col("doc_id").alias("_d"), copies(F.col("rate"), F.col("doc_id")).alias("_n")).groupBy("_d").agg(F.max("_n").alias("_n")), "copies")
-    every = F.explode(F.sequence(F.lit(1), F.col("_n")))
-    return docs.join(number, F.col("doc_id").eqNullSafe(F.col("_d"))).filter("_n > 0").withColumn("_k", every).select(*docs.columns)
+    number = written(out.groupBy("k").agg(F.max("rate").alias("rate")).select("k", copies(F.col("rate"), F.col("k")).alias("n")), "copies")
+    names = [f"x{i}" for i in range(len(docs.columns))]  # so that no column is taken for another
+    doc_id, text = (F.col(names[docs.columns.index(c)]) for c in ("doc_id", "text"))
+    keyed = docs.toDF(*names).select("*", F.struct(doc_id.cast("long").alias("doc_id"), text.cast("string").alias("text")).alias("own"))
+    key = F.xxhash64(F.col("own.doc_id"), F.coalesce("own.text", F.lit("")), F.col("own.text").isNull())
+    every = F.explode(F.sequence(F.lit(1), F.col("n")))
+    out = keyed.withColumn("key", key).join(number.withColumnRenamed("k", "key"), "key").filter("n > 0").withColumn("copy", every)
+    return out.select(*names).toDF(*docs.columns)
