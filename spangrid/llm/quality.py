@@ -55,8 +55,7 @@ def properties(t: Texts) -> dict[str, np.ndarray]:
         twice[order[1:][same]] = True
         twice[order[:-1][same]] = True
         hit = within[twice]
-        np.add.at(covered, hit, 1)
-        np.add.at(covered, hit + WINDOW, -1)
+        covered = np.bincount(hit, minlength=len(covered)) - np.bincount(hit + WINDOW, minlength=len(covered))
     out["n_repeat_words"] = per_text((np.cumsum(covered)[:-1] > 0).astype(np.int64), at)
     return out
 

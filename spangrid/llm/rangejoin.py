@@ -8,7 +8,8 @@ counted once from either end. Cells are cut into slices of home vectors by slice
 being one group of bounded size; a group returns one count for each probe and a spanning forest, never its pairs.
 
 In data without structure few cells can be ruled out and the work is quadratic, as for any exact join; the
-number of pivots (a bounded sample) changes only the cost.
+number of pivots (a sample that grows with the vectors until their distances fill what is shared with all tasks) changes only
+the cost.
 
 Results by case: vectors that are null, empty, zero or hold null or non-finite components, and those without an id link
 with nothing and are kept; vectors link with those of their own length only, each length being a join of its own; repeated
@@ -29,8 +30,8 @@ from pyspark.sql import functions as F
 from .components import components, least_labels
 from .tables import written
 
-#: Vectors at home in a cell on average, most pivots, and the sizes of slices.
-CELL, MOST_PIVOTS, HOMES, PROBES = 8192, 256, 2048, 8192
+#: Vectors at home in a cell on average, most pivots (whose distances then take 128 MB), and the sizes of slices.
+CELL, MOST_PIVOTS, HOMES, PROBES = 8192, 4096, 2048, 8192
 BLOCK = 512
 #: Rounding of distances that boundary replication allows for.
 SLACK = 1e-6

@@ -111,7 +111,7 @@ def scan(docs: DataFrame, model: list[float]) -> DataFrame:
     always = lambda m, v: F.lit(True)
     out = docs.withColumn("_assign", _spans(text, ASSIGN, 0, lambda m, v: F.length(v) >= 8)).withColumn("_access", _spans(text, ACCESS, 1, always)).withColumn("_hex", _spans(text, HEX, 2, always))
     mixed = rf"(?=[A-Za-z0-9+/_=-]*[0-9])(?=[A-Za-z0-9+/_=-]*[A-Za-z]){RUN}"
-    likely = lambda m, v: (ratio(m, model) >= LEAST_RATIO) & (ratio(m, model) >= (F.length(m) - 1) * LEAST_STEP)
+    likely = lambda m, v: ratio(m, model) >= F.greatest(F.lit(LEAST_RATIO), (F.length(m) - 1) * LEAST_STEP)
     out = out.withColumn("_random", _spans(text, mixed, 3, likely)).withColumn("_base", F.concat("_assign", "_access", "_hex"))
     free = F.filter("_random", lambda r: ~F.exists("_base", lambda b: (b["start"] < r["stop"]) & (r["start"] < b["stop"])))
     return out.withColumn("_added", F.when(F.size("_random") > 0, free).otherwise(F.col("_random"))).drop("_random")
@@ -135,8 +135,8 @@ def spans_of_documents(docs: DataFrame, labels: DataFrame) -> DataFrame:
 
 def redact(docs: DataFrame, labels: DataFrame, mark: str = "[secret]") -> DataFrame:
     """docs, every column kept, with each stretch of text that finds cover replaced by ``mark``."""
-    plain = docs.select(*[c for c in docs.columns])
-    out = scan(plain, fit(docs.select("doc_id", "text"), labels))
+    names = ["text" if c == "text" else f"x{i}" for i, c in enumerate(docs.columns)]  # so that no column is taken for a find
+    out = scan(docs.toDF(*names), fit(docs.select("doc_id", "text"), labels))
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
     begin = F.struct(F.lit(0).alias("at"), F.lit("").alias("out"))
 
@@ -147,4 +147,4 @@ def redact(docs: DataFrame, labels: DataFrame, mark: str = "[secret]") -> DataFr
 
     spans = F.array_sort(F.concat("_base", "_added"))
     clean = F.aggregate(spans, begin, step, lambda acc: F.concat(acc["out"], F.substring(text, acc["at"] + 1, F.length(text))))
-    return out.withColumn("text", F.when(F.size(spans) > 0, clean).otherwise(F.col("text"))).select(*docs.columns)
+    return out.withColumn("text", F.when(F.size(spans) > 0, clean).otherwise(F.col("text"))).select(*names).toDF(*docs.columns)
