@@ -40,6 +40,11 @@ def test_bpe(docs, local, nothing):
         ids = t.encode(x or "", add_special_tokens=False).ids
         want.append((i, len(ids), sha(np.array(ids, "<u4").tobytes()), sha(t.decode(ids, skip_special_tokens=False).encode())))
     same([tuple(r) for r in bpe.digests(docs, FILE).collect()], want)
+    both = bpe.encode(docs, FILE, back="again")
+    assert both.columns == ["doc_id", "text", "score", "ids", "again"]
+    assert both.filter(F.col("again") != F.coalesce("text", F.lit(""))).isEmpty()
+    odd = docs.sparkSession.createDataFrame([(1, [72, 105]), (2, None), (3, []), (4, [72])], "doc_id long, ids array<int>")
+    assert {r["doc_id"]: r["decoded"] for r in bpe.decode(odd, FILE).collect()} == {i: t.decode(x or [], skip_special_tokens=False) for i, x in ((1, [72, 105]), (2, None), (3, []), (4, [72]))}
     back = bpe.decode(bpe.encode(docs, FILE), FILE)
     assert back.columns == ["doc_id", "text", "score", "ids", "decoded"]
     assert back.filter(F.col("decoded") != F.coalesce("text", F.lit(""))).isEmpty()
@@ -218,6 +223,24 @@ def test_sharding(docs, nothing, local):
     assert sharding.shard_documents(nothing, 24).isEmpty()
 
 
+def test_sharding_places_equal_rows_apart(spark):
+    """Copies of one row are dealt like any rows: over all shards, and not side by side."""
+    rows = spark.range(0, 4800, 1, 4).select(F.when(F.col("id") < 1600, 7).otherwise(F.col("id")).alias("b"))
+    out = sharding.shuffle_into_shards(rows, 24).toPandas()
+    hot = out[out["b"] == 7].groupby("shard")["slot"].agg(["count", "std"])
+    assert len(hot) == 24 and hot["count"].between(35, 105).all() and hot["std"].min() > 25
+    assert sorted(out["b"]) == sorted(r["b"] for r in rows.collect())
+
+
+def test_hypergeometric_of_any_size():
+    rng = np.random.default_rng(2)
+    good, bad, n = 10**11 // 24, 10**11 - 10**11 // 24, 200_000
+    x = np.array([sharding.hypergeometric(rng, good, bad, n) for _ in range(2000)])
+    p = good / (good + bad)
+    assert abs(x.mean() - n * p) < 4 * math.sqrt(n * p * (1 - p) / 2000) and 0.85 < x.var() / (n * p * (1 - p)) < 1.15
+    assert sharding._draw(rng, np.array([3 * 10**9, 1, 2 * 10**9, 0]), 5 * 10**9 + 1).tolist() == [3 * 10**9, 1, 2 * 10**9, 0]
+
+
 def test_communication_matrix():
     m = sharding.communication_matrix(np.array([5, 0, 17, 3]), 4, 1)
     assert m.sum(1).tolist() == [5, 0, 17, 3] and sorted(m.sum(0)) == [6, 6, 6, 7]
@@ -235,7 +258,8 @@ def test_secrets(docs, local, labels, nothing):
         want[(i, n[0], n[1], n[2], sha(",".join(f"{secrets.KINDS[k]}:{a}:{b}" for a, k, b in sorted(found)).encode()))] += 1
     assert got == want
     spans = {r["doc_id"]: r["spans"] for r in out.collect()}
-    assert "random:69:89" in spans[-12]
+    at = dict(local)[-12].index("aX9bQ2zL0pRt7UvW3kYm")
+    assert f"random:{at}:{at + 20}" in spans[-12]
     clean = {r["doc_id"]: r["text"] for r in secrets.redact(docs, labels).collect()}
     assert "hunter22" not in clean[-12] and "[secret]" in clean[-12] and clean[-1] is None
     assert secrets.spans_of_documents(nothing, labels).isEmpty()
@@ -243,6 +267,24 @@ def test_secrets(docs, local, labels, nothing):
     assert "Python" not in plan and "Pandas" not in plan and "Arrow" not in plan
 
 
+def test_clashing_names_repeated_rows_and_empty_tables(docs, labels, local):
+    """Columns named as an operator's own come through; a repeated row goes once; a table without rows stays one."""
+    names = ["_assign", "_access", "_hex", "_base", "_added", "_random", "_n", "_d", "_k", "n", "k", "key", "copy", "rate", "kept", "gone", "spans", "x0", "c0", "_may"]
+    wide = docs.drop("score").withColumns({c: F.concat(F.lit(c), F.col("doc_id").cast("string")) for c in names}).withColumns({"lang": F.lit("en"), "component_id": F.lit(1)})
+    was = {(r["doc_id"], r["text"]) for r in wide.collect()}
+    for f in (lambda d: secrets.redact(d, labels), lambda d: mixing.resample(d, labels, {"en": 1.0}), lambda d: minhash.keep_one(d, 5), lambda d: toxicity.reject(d, labels)):
+        out = f(wide)
+        assert out.columns == wide.columns
+        rows = out.collect()
+        assert rows and all(r[c] == (None if r["doc_id"] is None else f"{c}{r['doc_id']}") for r in rows for c in names)
+        assert {r["doc_id"] for r in rows} <= {i for i, _ in was}
+        assert f(wide.limit(0)).isEmpty() and f(wide.limit(0)).columns == wide.columns
+    kept = [r["doc_id"] for r in minhash.keep_one(wide, 5).collect()]
+    assert kept.count(-5) == 1 and kept.count(-3) == 0 and [i for i, _ in local].count(-5) == 2
+    twice = docs.filter("doc_id = -6").unionByName(docs.filter("doc_id = -6")).unionByName(docs.filter("doc_id is null")).unionByName(docs.filter("doc_id is null"))
+    assert sorted(str(r["doc_id"]) for r in minhash.keep_one(twice, 5).collect()) == ["-6", "None", "None"]
+
+
 def test_secret_model(spark, docs, labels):
     model = secrets.fit(docs, labels)
     held = secrets.random_strings(spark, 200, seed=9).select((secrets.ratio(F.col("s"), model) >= secrets.LEAST_RATIO).alias("hit"))
@@ -324,7 +366,7 @@ def test_tree_is_a_distribution():
     assert tree.state.shape == (a**3,) and tree.state.max() < len(tree.log)
 
 
-def test_mixing(spark, sf, labels, nothing):
+def test_mixing(spark, sf, labels, nothing, monkeypatch):
     docs = spark.read.parquet(f"{sf}/documents.parquet")
     odd = docs.limit(1).withColumns({"doc_id": F.lit(-1).cast("long"), "text": F.lit(None).cast("string"), "lang": F.lit(None).cast("string")})
     out = mixing.mix_documents(docs.unionByName(odd), labels, {"en": 0.4, "de": 0.2, "es": 0.2, "fr": 0.2}).toPandas()
@@ -332,6 +374,14 @@ def test_mixing(spark, sf, labels, nothing):
     assert (out["rate"] >= 0).all() and np.allclose(out[[f"p_{c}" for c in names]].sum(axis=1), 1)
     share = {c: (out["rate"] * out["n_tokens"] * out[f"p_{c}"]).sum() / out["n_tokens"].sum() for c in names}
     assert all(abs(share[c] - (0.4 if c == "en" else 0.2)) < 0.01 for c in share)
+    many = docs.select("doc_id", "text", F.concat("lang", "doc_id").alias("domain"))
+    with monkeypatch.context() as m:
+        m.setattr(mixing.Softmax, "fit", lambda self, *a, **b: self)
+        m.setattr("spangrid.llm.hashed.BITS", 4)
+        got = mixing.learn(many, labels, [r["domain"] for r in many.select("domain").collect()]).classes
+    assert set(got) == {r["domain"] for r in many.join(labels, "doc_id").collect()} and len(got) > 64  # every domain that a labelled document has
+    rare = mixing.mix_documents(docs, labels, {"es": 1.0})
+    assert [c for c in rare.columns if c.startswith("p_")] == ["p_es", "p_other"]
     one = mixing.mix_documents(docs, labels.limit(0), {"en": 1.0})
     assert one.filter("rate <> 1 or copies <> 1").isEmpty()
     assert mixing.resample(docs, labels, {"en": 1.0}).columns == docs.columns
@@ -349,6 +399,13 @@ def test_pipeline(spark, sf):
     assert {r["doc_id"] for r in kept.select("doc_id").collect()} == {r["doc_id"] for r in docs.select("doc_id").collect()} - bad
     near = {r["doc_id"] for r in minhash.near_duplicates(docs, 5).filter("kept").collect()}
     assert {r["doc_id"] for r in stage["near_duplicates"](spark, docs, sf).select("doc_id").collect()} == near
+    step = docs
+    for name, f in corpus_pipeline.STAGES:
+        step = f(spark, step, sf)
+    whole = corpus_pipeline.run(spark, sf)
+    assert whole.columns == ["doc_id", "source", "ids", "text"] == step.columns
+    same([(r["doc_id"], r["source"], str(r["ids"]), r["text"]) for r in whole.collect()], [(r["doc_id"], r["source"], str(r["ids"]), r["text"]) for r in step.collect()])
+    assert {r["doc_id"] for r in whole.collect()} <= near - bad
     last = stage["encoding"](spark, docs, sf)
     assert last.join(docs.select("doc_id", F.col("text").alias("was")), "doc_id").filter("text <> was").isEmpty()
     for name in ("toxicity", "near_duplicates", "secrets", "mixing"):
