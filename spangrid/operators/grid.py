@@ -15,15 +15,17 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.predicates import after, at_least, at_most, before, implied_bounds, polygon, valid
+from ..functions.predicates import after, at_least, at_most, before, implied_bounds, matches, polygon, valid
 from ..model import Query
-from ..storage import shared_dir, written
-from .layouts import QUERY_COLUMNS, Layout
+from ..storage import forget, shared_dir, written
+from .layouts import QUERY_COLUMNS, Layout, small
 from .packing import EXACT_KEYS, pack, runs
 
 START_FIRST, DURATION_FIRST = "start_first", "duration_first"
-#: Columns named in a scan's predicate; beyond it the scan joins the directory.
-NAMED_COLUMNS = 2000
+#: Ranges of cells named in a scan's predicate; beyond it the scan joins the directory.
+NAMED_RANGES = 2000
+#: Pages of a directory that the driver holds as arrays (about 100 bytes a page); beyond it a query asks the directory in a job.
+HELD_PAGES = 2_000_000
 
 
 @dataclass(frozen=True)
@@ -93,18 +95,20 @@ def route(df: DataFrame, cuts: Cuts, spec: GridSpec) -> DataFrame:
 
 
 def cut(df: DataFrame, spec: GridSpec) -> Cuts:
-    """The cuts for df: two histograms, of the first key and of the second key within columns."""
-    first, second = (F.col(k) for k in spec.keys)
-    histogram = runs(df, first)
+    """The cuts for df: two histograms, of the first key and of the second key within columns, both from one table of pairs."""
+    first, second = spec.keys
+    pairs = written(df.groupBy("t_lo", "dur").agg(F.count("*").alias("c")), "pairs")
+    histogram = written(pairs.groupBy(F.col(first).alias("key")).agg(F.sum("c").alias("n")), "histogram")
     form = spec.packing
     if form == "auto":
         form = "exact" if histogram.count() <= EXACT_KEYS else "sharded"
     columns = np.array([r[0] for r in pack(histogram, spec.budget, form=form).groupBy("grp").agg(F.min("key").alias("k")).select("k").orderBy("k").collect()], np.int64)
     if not len(columns):
         return Cuts(columns, [])
-    placed = route(df.select("t_lo", "dur"), Cuts(columns, [np.zeros(1, np.int64)] * len(columns)), spec)
-    inner = pack(runs(placed, second, ["col_id"]), spec.cell_rows, by="col_id", form="quantile" if form == "quantile" else "exact")
+    placed = route(pairs, Cuts(columns, [np.zeros(1, np.int64)] * len(columns)), spec)
+    inner = pack(placed.groupBy("col_id", F.col(second).alias("key")).agg(F.sum("c").alias("n")), spec.cell_rows, by="col_id", form="quantile" if form == "quantile" else "exact")
     cells = inner.groupBy("col_id", "grp").agg(F.min("key").alias("k")).orderBy("col_id", "k").toPandas()  # one row a page
+    forget(pairs, histogram)
     return Cuts(columns, [g["k"].to_numpy(np.int64) for _, g in cells.groupby("col_id")])
 
 
@@ -131,6 +135,7 @@ class Grid(Layout):
 
     def __init__(self, rows: DataFrame, pages: DataFrame, columns: DataFrame, spec: GridSpec, cuts: Cuts):
         self.pages, self.columns, self.spec, self.cuts = pages, columns, spec, cuts
+        self._held: dict[str, np.ndarray] | None = None
         bounds = columns.select("col_id", F.col("min_key").alias("c_min"), F.col("max_key").alias("c_max"), F.col("run_max_hi").alias("c_run"))
         super().__init__(rows, pages.join(F.broadcast(bounds), "col_id"), ["col_id", "cell_id"])
 
@@ -154,10 +159,13 @@ class Grid(Layout):
         return F.col("col_id")
 
     def visit(self, queries: DataFrame) -> DataFrame:
+        return self._visited(queries).select(*QUERY_COLUMNS, *self.gid, "n")
+
+    def _visited(self, queries: DataFrame) -> DataFrame:
         """Columns first, so the comparison of queries with pages stays within the columns they touch."""
-        few = F.broadcast(queries.filter(valid()))
+        few = small(queries.filter(valid()))
         bounds = self.columns.select("col_id", F.col("min_key").alias("c_min"), F.col("max_key").alias("c_max"), F.col("run_max_hi").alias("c_run"))
-        return bounds.join(few, self.column_meets()).join(self.pages, "col_id").filter(self.cell_meets()).select(*QUERY_COLUMNS, *self.gid, "n")
+        return bounds.join(few, self.column_meets()).join(self.pages, "col_id").filter(self.cell_meets())
 
     def classify(self, q: Query, prune: str = "running") -> DataFrame:
         """Visited pages with their class: covered, duration_cut, start_cut or corner. prune='zone' also uses each page's own ends."""
@@ -171,37 +179,89 @@ class Grid(Layout):
         band = (yes if q.d_min is None else F.col("min_dur") >= q.d_min) & (yes if q.d_max is None else F.col("max_dur") <= q.d_max)
         return pages.withColumn("cls", F.when(start & band, "covered").when(start, "duration_cut").when(band, "start_cut").otherwise("corner"))
 
+    def held(self) -> dict[str, np.ndarray] | None:
+        """The directory as arrays, fetched once; None if it is too large for the driver."""
+        if self._held is None and len(self.cuts.cells) <= HELD_PAGES:
+            table = self.groups.toArrow()
+            self._held = {c: table.column(c).to_numpy() for c in table.column_names if c != "heavy"}
+        return self._held
+
+    def _seen(self, p: dict[str, np.ndarray], q: Query, prune: str) -> tuple[np.ndarray, np.ndarray]:
+        """Of the pages p: which a query visits, and which of them it covers."""
+        seen, sure = np.ones(len(p["n"]), bool), np.ones(len(p["n"]), bool)
+        by_start = self.spec.order == START_FIRST
+        if q.q_hi is not None:
+            seen &= p["c_min" if by_start else "min_lo"] < q.q_hi
+            sure &= p["max_lo"] < q.q_hi
+        if q.q_lo is not None:
+            seen &= p["c_run" if by_start else "run_max_hi"] > q.q_lo
+            sure &= p["min_hi"] > q.q_lo
+        if q.d_max is not None:
+            seen &= p["min_dur" if by_start else "c_min"] <= q.d_max
+            sure &= p["max_dur"] <= q.d_max
+        if q.d_min is not None:
+            seen &= p["max_dur" if by_start else "c_max"] >= q.d_min
+            sure &= p["min_dur"] >= q.d_min
+        if prune == "zone":
+            seen &= (True if q.q_hi is None else p["min_lo"] < q.q_hi) & (True if q.q_lo is None else p["max_hi"] > q.q_lo)
+        return seen, seen & sure
+
     def find(self, q: Query, prune: str = "running") -> DataFrame:
         """The rows of one query: literal column and cell ranges for the scan, and the residual test."""
         if q.empty:
             return self.rows.filter(F.lit(False))
-        pages = self.classify(q, prune)
-        return self._scan(pages).filter(polygon(q)).filter(implied_bounds(q))
-
-    def _scan(self, pages: DataFrame) -> DataFrame:
-        ranges = pages.groupBy("col_id").agg(F.min("cell_id").alias("a"), F.max("cell_id").alias("b"), F.count("*").alias("k")).limit(NAMED_COLUMNS + 1).collect()
-        if len(ranges) > NAMED_COLUMNS or any(r["b"] - r["a"] + 1 != r["k"] for r in ranges):
-            return self.rows.join(pages.select("col_id", "cell_id"), ["col_id", "cell_id"], "left_semi")
-        if not ranges:
+        p = self.held()
+        if p is None:
+            rows = self.rows.join(self.classify(q, prune).select("col_id", "cell_id"), ["col_id", "cell_id"], "left_semi")
+        else:
+            seen, _ = self._seen(p, q, prune)
+            rows = self._scan(p["col_id"][seen], p["cell_id"][seen], whole=True)
+        return rows.filter(polygon(q)).filter(implied_bounds(q))
+
+    def _scan(self, columns: np.ndarray, cells: np.ndarray, whole: bool = False) -> DataFrame | None:
+        """The rows of some pages, by the columns' ids and ranges of cells. ``whole`` takes all cells of a column between its first
+        and last one, which a residual test must then sort out; else None if there are too many ranges."""
+        order = np.lexsort((cells, columns))
+        c, x = columns[order].astype(np.int64), cells[order].astype(np.int64)
+        new = np.ones(len(c), bool)
+        new[1:] = c[1:] != c[:-1]
+        if not whole:
+            new[1:] |= x[1:] != x[:-1] + 1
+        first = np.flatnonzero(new)
+        last = np.append(first[1:], len(c)) - 1 if len(first) else first
+        if not len(first):
             return self.rows.filter(F.lit(False))
+        if len(first) > NAMED_RANGES:
+            return self.rows.filter(F.col("col_id").between(int(c[0]), int(c[-1]))) if whole else None
         by_range: dict[tuple[int, int], list[int]] = {}
-        for r in ranges:
-            by_range.setdefault((r["a"], r["b"]), []).append(r["col_id"])
-        where = F.col("col_id").isin([r["col_id"] for r in ranges])
+        for i, a, b in zip(c[first].tolist(), x[first].tolist(), x[last].tolist()):
+            by_range.setdefault((a, b), []).append(i)
         inner = None
         for (a, b), ids in by_range.items():
             part = F.col("col_id").isin(ids) & F.col("cell_id").between(a, b)
             inner = part if inner is None else inner | part
-        return self.rows.filter(where).filter(inner)
+        return self.rows.filter(F.col("col_id").isin(sorted(set(c.tolist())))).filter(inner)
 
     def count(self, q: Query, use_directory: bool = True) -> DataFrame:
-        """matched; pages the query covers are counted from the directory and not read."""
-        if q.empty or not use_directory:
-            return self.find(q).agg(F.count("*").alias("matched"))
-        pages = written(self.classify(q), "classes")
-        sure = pages.filter("cls = 'covered'").agg(F.coalesce(F.sum("n"), F.lit(0)).alias("c"))
-        rest = self._scan(pages.filter("cls <> 'covered'")).filter(polygon(q)).join(pages.filter("cls <> 'covered'").select("col_id", "cell_id"), ["col_id", "cell_id"], "left_semi")
-        return sure.unionByName(rest.agg(F.count("*").alias("c"))).agg(F.sum("c").cast("long").alias("matched"))
+        """matched, in one job; pages the query covers are counted from the directory and not read."""
+        p = self.held() if use_directory and not q.empty else None
+        if p is not None:
+            seen, sure = self._seen(p, q, "running")
+            rest = self._scan(p["col_id"][seen & ~sure], p["cell_id"][seen & ~sure])
+            if rest is not None:
+                return rest.filter(polygon(q)).agg((F.count("*") + F.lit(int(p["n"][sure].sum()))).cast("long").alias("matched"))
+        return self.find(q).agg(F.count("*").alias("matched"))
+
+    def count_batch(self, queries: DataFrame) -> DataFrame:
+        """qid and matched, also of queries without answers: covered pages add what the directory says, and only rows of pages that
+        a query cuts meet that query."""
+        inside = before(F.col("max_lo"), F.col("q_hi")) & after(F.col("min_hi"), F.col("q_lo")) & at_least(F.col("min_dur"), F.col("d_min")) & at_most(F.col("max_dur"), F.col("d_max"))
+        seen = written(self._visited(queries).withColumn("covered", inside).select(*QUERY_COLUMNS, *self.gid, "n", "covered"), "visits")
+        sure = seen.filter("covered").groupBy("qid").agg(F.sum("n").alias("c"))
+        cut_pages = seen.filter("not covered").drop("n", "covered")
+        got = self.rows.select(*self.gid, "t_lo", "t_hi", "dur").join(cut_pages, self.gid).filter(matches()).groupBy("qid").agg(F.count("*").alias("c"))
+        both = sure.unionByName(got).groupBy("qid").agg(F.sum("c").alias("c"))
+        return queries.select("qid").join(both, "qid", "left").select("qid", F.coalesce("c", F.lit(0)).cast("long").alias("matched"))
 
     def describe(self) -> DataFrame:
         """columns, cells, heavy columns and cells, rows of the largest cell, and largest over mean."""
@@ -211,18 +271,29 @@ class Grid(Layout):
 
     def clustered(self, parts: int | None = None) -> DataFrame:
         """rows in one range shuffle by column, cell and descending end; a heavy cell may fill several partitions."""
-        n = parts or int(self.rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-        order = [F.col("col_id"), F.col("cell_id"), F.col("t_hi").desc()]
-        return self.rows.repartitionByRange(n, *order).sortWithinPartitions(*order)
+        return clustered(self.rows, parts)
 
     def save(self, path: str, max_rows: int = 5_000_000) -> Grid:
         """Writes rows (one folder a column, files of bounded rows), then the directory, then the manifest."""
-        self.clustered().write.option("maxRecordsPerFile", max_rows).partitionBy("col_id").mode("overwrite").parquet(f"{path}/rows")
-        self.pages.write.mode("overwrite").parquet(f"{path}/pages")
-        self.columns.write.mode("overwrite").parquet(f"{path}/columns")
-        spark = self.rows.sparkSession
-        spark.createDataFrame([(json.dumps(asdict(self.spec)),)], "spec string").coalesce(1).write.mode("overwrite").json(f"{path}/manifest")
-        return open_grid(spark, path)
+        _write_rows(self.rows, path, max_rows)
+        return _commit(self.rows.sparkSession, path, self.pages, self.columns, self.spec)
+
+
+def clustered(rows: DataFrame, parts: int | None = None) -> DataFrame:
+    n = parts or int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    order = [F.col("col_id"), F.col("cell_id"), F.col("t_hi").desc()]
+    return rows.repartitionByRange(n, *order).sortWithinPartitions(*order)
+
+
+def _write_rows(rows: DataFrame, path: str, max_rows: int) -> None:
+    clustered(rows).write.option("maxRecordsPerFile", max_rows).partitionBy("col_id").mode("overwrite").parquet(f"{path}/rows")
+
+
+def _commit(spark, path: str, pages: DataFrame, columns: DataFrame, spec: GridSpec) -> Grid:
+    pages.write.mode("overwrite").parquet(f"{path}/pages")
+    columns.write.mode("overwrite").parquet(f"{path}/columns")
+    spark.createDataFrame([(json.dumps(asdict(spec)),)], "spec string").coalesce(1).write.mode("overwrite").json(f"{path}/manifest")
+    return open_grid(spark, path)
 
 
 def open_grid(spark, path: str) -> Grid:
@@ -241,19 +312,31 @@ def cuts_of(pages: DataFrame, columns: DataFrame, spec: GridSpec) -> Cuts:
 
 def build_grid(df: DataFrame, spec: GridSpec) -> Grid:
     """The grid over df (normalised intervals). Nothing but histograms moves until the grid is saved or clustered."""
+    rows, cuts = _routed(df, spec)
+    return Grid(rows, *directory(rows, spec), spec, cuts)
+
+
+def _routed(df: DataFrame, spec: GridSpec) -> tuple[DataFrame, Cuts]:
     if spec.payload == "ref":
         df = df.select("iv_id", "t_lo", "t_hi", "dur")
     cuts = cut(df, spec)
     empty = F.lit(0).cast("int")
-    rows = route(df, cuts, spec) if len(cuts.columns) else df.withColumns({"col_id": empty, "cell_id": empty})
-    return Grid(rows, *directory(rows, spec), spec, cuts)
+    return (route(df, cuts, spec) if len(cuts.columns) else df.withColumns({"col_id": empty, "cell_id": empty})), cuts
+
+
+def build_saved(df: DataFrame, spec: GridSpec, path: str, max_rows: int = 5_000_000) -> Grid:
+    """build_grid and save in one: rows are routed once, as they are written, and the directory is read off what is written."""
+    rows, _ = _routed(df, spec)
+    _write_rows(rows, path, max_rows)
+    there = df.sparkSession.read.schema(rows.schema).parquet(f"{path}/rows")
+    return _commit(df.sparkSession, path, *directory(there, spec), spec)
 
 
 def saved_grid(df: DataFrame, spec: GridSpec, name: str) -> Grid:
-    """build_grid, saved to the shared folder and opened again."""
+    """A grid in the shared folder."""
     import uuid
 
-    return build_grid(df, spec).save(f"{shared_dir(df.sparkSession)}/grid-{name}-{uuid.uuid4().hex}")
+    return build_saved(df, spec, f"{shared_dir(df.sparkSession)}/grid-{name}-{uuid.uuid4().hex}")
 
 
 def fetch(base: DataFrame, thin: DataFrame) -> DataFrame:

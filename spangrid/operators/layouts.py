@@ -16,6 +16,15 @@ QUERY_COLUMNS = ["qid", "kind", "q_lo", "q_hi", "d_min", "d_max"]
 ROW_COLUMNS = ["iv_id", "t_lo", "t_hi", "dur"]
 
 
+#: Queries that are shared with all tasks; a larger set is dealt out instead.
+SHARED_QUERIES = 1_000_000
+
+
+def small(queries: DataFrame) -> DataFrame:
+    """The queries as a broadcast side, once they are known to be few."""
+    return F.broadcast(queries) if queries.limit(SHARED_QUERIES + 1).count() <= SHARED_QUERIES else queries
+
+
 class Layout:
     """rows (with the columns ``gid``), groups (``gid``, n, and what visiting needs), and how a visit reads a group."""
 
@@ -35,7 +44,7 @@ class Layout:
 
     def visit(self, queries: DataFrame) -> DataFrame:
         """Query columns, gid and n of each visited group. Queries are few against groups, so they are what is broadcast."""
-        few = F.broadcast(queries.filter(valid()))
+        few = small(queries.filter(valid()))
         return self.groups.join(few, self.meets()).select(*QUERY_COLUMNS, *self.gid, "n")
 
     def find_batch(self, queries: DataFrame) -> DataFrame:
@@ -81,10 +90,11 @@ def no_queries(spark) -> DataFrame:
     return spark.createDataFrame([], QUERY_SCHEMA)
 
 
-def ordinal(df: DataFrame, keys: list[str], into: str, parts: int = 8) -> DataFrame:
+def ordinal(df: DataFrame, keys: list[str], into: str, parts: int | None = None) -> DataFrame:
     """df with the 0-based position in the order of the keys, without bringing all rows to one task."""
     from ..storage import written
 
+    parts = parts or int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     dealt = written(df.repartitionByRange(parts, *keys).withColumn("_p", F.spark_partition_id()), "ordinal")
     within = Window.partitionBy("_p").orderBy(*keys)
     size = dealt.groupBy("_p").agg(F.count("*").alias("_c"))

@@ -1,6 +1,6 @@
 """Inserts and removals on a grid, by batches: only columns that change are read and rewritten.
 
-A batch is routed by the cuts. A cell or column above its size is packed anew at half the size plus one if it holds more than one key; one
+A batch is routed by the cuts, and the files of columns that it does not touch stay as they are. A cell or column above its size is packed anew at half the size plus one if it holds more than one key; one
 of a single key is heavy and only grows. After removals a cell joins a neighbour if both together stay below the size, and a
 column below half the size joins one if both together do; the smaller neighbour is taken, then the left one. A
 column's cells are cut anew when it splits or merges. Column ids stay with their rows; order is by key.
@@ -13,10 +13,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..storage import written
-from .grid import Cuts, Grid, GridSpec, directory, route
+from .grid import Cuts, Grid, GridSpec, clustered, directory, route
 from .packing import groups_of_runs, pack, runs
 
 
+#: Writes whose files a grid's rows may lie in.
+MOST_LAYERS = 16
+
+
 def split_sizes(counts: np.ndarray, size: int) -> np.ndarray:
     """Groups of an over-full group's runs at half the size plus one."""
     return groups_of_runs(counts, size // 2 + 1)
@@ -60,18 +64,35 @@ def _first_keys(packed: DataFrame, by: list[str]) -> dict:
     return out
 
 
+def _settled(grid: Grid) -> Grid:
+    """The grid with its rows written, in folders by column, so that a batch can leave columns as they are."""
+    if not getattr(grid, "layers", 0):
+        grid.rows = written(clustered(grid.rows), "rows", "col_id").select(*grid.rows.columns)
+        grid.layers, grid.moved = 1, []
+    return grid
+
+
 def _renewed(grid: Grid, rows: DataFrame, cuts: Cuts, redo: set[int], touched: set[int]) -> Grid:
-    """The grid over rows, where those of the columns ``redo`` find their cells anew and ``touched`` have changed."""
-    cols = [c for c in rows.columns if c not in ("col_id", "cell_id")]
-    if redo:
-        again = route(rows.filter(F.col("col_id").isin(list(redo))).select(*cols), cuts, grid.spec)
-        rows = rows.filter(~F.col("col_id").isin(list(redo))).unionByName(again)
-    rows = written(rows, "rows")
+    """The grid over rows, where those of the columns ``redo`` find their cells anew and ``touched`` have changed. Only these are
+    written: the others stay in the files they are in, until MOST_LAYERS writes lie on each other and all are written anew."""
+    names = rows.columns
+    cols = [c for c in names if c not in ("col_id", "cell_id")]
+    again = rows.filter(F.col("col_id").isin(list(redo))).select(*cols)
     fresh = {int(i) for i in cuts.ids} - {int(i) for i in grid.cuts.ids}
-    dirty = list(touched | redo | fresh)
-    pages, _ = directory(rows.filter(F.col("col_id").isin(dirty)), grid.spec)
+    old = touched | redo
+    changed = rows.filter(F.col("col_id").isin(list(touched - redo)))
+    changed = changed.unionByName(route(again, cuts, grid.spec).select(*names)) if redo else changed
+    changed = written(clustered(changed), "rows", "col_id").select(*names)
+    layers = grid.layers + 1
+    rows = grid.rows.filter(~F.col("col_id").isin(list(old))).unionByName(changed)
+    if layers > MOST_LAYERS:
+        rows, layers = written(clustered(rows), "rows", "col_id").select(*names), 1
+    dirty = list(old | fresh)
+    pages, _ = directory(changed, grid.spec)
     pages = written(grid.pages.filter(~F.col("col_id").isin(dirty)).unionByName(pages), "pages")
-    return Grid(rows, pages, _columns(pages, grid.spec), grid.spec, cuts)
+    out = Grid(rows, pages, _columns(pages, grid.spec), grid.spec, cuts)
+    out.layers, out.moved = layers, sorted(dirty)
+    return out
 
 
 def _columns(pages: DataFrame, spec: GridSpec) -> DataFrame:
@@ -95,6 +116,7 @@ def insert(grid: Grid, batch: DataFrame) -> Grid:
     low = batch.agg(F.min(first)).first()[0]
     if low is None:
         return grid
+    grid = _settled(grid)
     cuts = grid.cuts
     if low < cuts.columns[0]:
         cuts = Cuts(np.concatenate([[low], cuts.columns[1:]]), [cuts.cells_of(i) for i in range(len(cuts.ids))], cuts.ids)
@@ -130,14 +152,22 @@ def insert(grid: Grid, batch: DataFrame) -> Grid:
 
 
 def remove(grid: Grid, gone: DataFrame) -> Grid:
-    """The grid without the rows whose iv_id is in ``gone``."""
+    """The grid without the rows whose iv_id is in ``gone``. Where gone names their t_lo and dur too, only the columns these lie in
+    are read; else the ids are looked for in all."""
     spec = grid.spec
     first, second = spec.keys
+    grid = _settled(grid)
     ids = written(gone.select("iv_id").distinct(), "gone")
-    lost = {(r[0], r[1]) for r in grid.rows.join(ids, "iv_id", "left_semi").select("col_id", "cell_id").distinct().collect()}  # groups, not rows
+    near = grid.rows
+    if {"t_lo", "dur"} <= set(gone.columns):
+        at = [r[0] for r in route(gone.select("t_lo", "dur"), grid.cuts, spec).select("col_id").distinct().collect()]  # columns
+        near = near.filter(F.col("col_id").isin(at))
+    lost = {(r[0], r[1]) for r in near.join(ids, "iv_id", "left_semi").select("col_id", "cell_id").distinct().collect()}  # groups, not rows
     touched = {c for c, _ in lost}
-    rows = grid.rows.join(ids, "iv_id", "left_anti")
-    left = rows.filter(F.col("col_id").isin(list(touched))).groupBy("col_id", "cell_id").agg(F.count("*").alias("n"), F.min(second).alias("k"))
+    if not touched:
+        return grid
+    rows = grid.rows.filter(F.col("col_id").isin(list(touched))).join(ids, "iv_id", "left_anti").select(*grid.rows.columns)
+    left = rows.groupBy("col_id", "cell_id").agg(F.count("*").alias("n"), F.min(second).alias("k"))
     left = {(r["col_id"], r["cell_id"]): (r["n"], r["k"]) for r in left.collect()}
     counts = {r["col_id"]: r["n"] for r in grid.columns.select("col_id", "n").collect()}
     for c in touched:
@@ -146,6 +176,9 @@ def remove(grid: Grid, gone: DataFrame) -> Grid:
     order = [int(c) for c in cuts.ids]
     plan = merge_plan([counts[c] for c in order], {i for i, c in enumerate(order) if c in touched}, (spec.budget + 1) // 2, (spec.budget + 1) // 2)
     merged = [[order[i] for i in sorted(g)] for g in plan if len(g) > 1]
+    beside = {c for g in merged for c in g} - touched
+    if beside:  # a neighbour that lost nothing is rewritten with the column that joins it
+        rows = rows.unionByName(grid.rows.filter(F.col("col_id").isin(list(beside))))
     for group in merged:
         some = rows.filter(F.col("col_id").isin(group))
         keys = _first_keys(pack(runs(some.withColumn("_g", F.lit(0)), F.col(second), ["_g"]), spec.cell_rows, by="_g"), ["_g"]).get((0,), [0])

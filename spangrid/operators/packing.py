@@ -38,35 +38,17 @@ def groups_of_runs(counts: np.ndarray, budget: int) -> np.ndarray:
     return out
 
 
-def pack_reference(keys: list, budget: int) -> list[int]:
-    """Group sizes by walking positions of the sorted keys: the definition that groups_of_runs is tested against."""
-    keys, at, sizes = sorted(keys), 0, []
-    while at < len(keys):
-        end = at + budget
-        if end >= len(keys):
-            end = len(keys)
-        elif keys[at] == keys[end]:
-            while end < len(keys) and keys[end] == keys[at]:
-                end += 1
-        else:
-            while keys[end - 1] == keys[end]:
-                end -= 1
-        sizes.append(end - at)
-        at = end
-    return sizes
-
-
 def runs(df: DataFrame, key: Column, by: list[str] | None = None) -> DataFrame:
     """Histogram of the key, within the groups of ``by`` if given."""
     return df.groupBy(*(by or []), key.alias("key")).agg(F.count("*").alias("n"))
 
 
-def pack(histogram: DataFrame, budget: int, by: str | None = None, form: str = "exact", shards: int = 8) -> DataFrame:
+def pack(histogram: DataFrame, budget: int, by: str | None = None, form: str = "exact", shards: int | None = None) -> DataFrame:
     """histogram (key, n and ``by``) with ``grp``, numbered from 0 in key order within ``by``."""
     if form == "quantile":
         return _quantile(histogram, budget, by)
     if form == "sharded" and by is None:
-        return _sharded(histogram, budget, shards)
+        return _sharded(histogram, budget, shards or int(histogram.sparkSession.conf.get("spark.sql.shuffle.partitions")))
     fields = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in histogram.schema.fields)
 
     def solve(pdf: pd.DataFrame) -> pd.DataFrame:
@@ -82,12 +64,15 @@ def _sharded(histogram: DataFrame, budget: int, shards: int) -> DataFrame:
     def solve(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         fill = grp = 0
         for pdf in parts:  # a shard may come in several batches, all in key order
-            out = np.zeros(len(pdf), np.int64)
-            for i, n in enumerate(pdf["n"].to_numpy()):
-                if fill and fill + n > budget:
-                    grp, fill = grp + 1, 0
-                fill += int(n)
-                out[i] = grp
+            counts = pdf["n"].to_numpy()
+            if fill:  # what the batch before left open is one more run ahead of this one
+                g = groups_of_runs(np.concatenate([[fill], counts]), budget)[1:]
+            else:
+                g = groups_of_runs(counts, budget)
+            out = g + grp
+            if len(out):
+                fill = int(counts[out == out[-1]].sum()) + (fill if out[-1] == grp else 0)
+                grp = int(out[-1])
             yield pdf.assign(g=out)
 
     local = written(dealt.mapInPandas(solve, "key long, n long, g long").withColumn("shard", F.spark_partition_id()), "shards")

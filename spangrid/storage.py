@@ -20,11 +20,11 @@ def shared_dir(spark: SparkSession) -> str:
     return at
 
 
-def written(df: DataFrame, label: str) -> DataFrame:
-    """df written once to the shared folder and read from there."""
+def written(df: DataFrame, label: str, by: str | None = None) -> DataFrame:
+    """df written once to the shared folder and read from there; in folders by a column, if one is named."""
     spark = df.sparkSession
     at = f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}"
-    df.write.parquet(at)
+    (df.write.partitionBy(by) if by else df.write).parquet(at)
     out = spark.read.schema(df.schema).parquet(at)
     out._spangrid_at = at
     return out
