@@ -48,6 +48,11 @@ class TwoIndexes:
     def __init__(self, df: DataFrame, page_rows: int = 1000):
         self.by_dur, self.by_start = Ordered(df, "dur", page_rows), Ordered(df, "t_lo", page_rows)
 
+    def settled(self) -> TwoIndexes:
+        self.by_dur.settled()
+        self.by_start.settled()
+        return self
+
     def find_batch(self, queries: DataFrame) -> DataFrame:
         a = self.by_dur.rows.join(self.by_dur.visit(queries).select("qid", "d_min", "d_max", "q_lo", "q_hi", "g"), "g").filter(in_band())
         b = self.by_start.rows.join(self.by_start.visit(queries).select("qid", "d_min", "d_max", "q_lo", "q_hi", "g"), "g").filter(in_window())
@@ -128,7 +133,8 @@ class Replicating(Layout):
     name = "replicating"
     replicates = True
 
-    def __init__(self, df: DataFrame, buckets: int = 20, levels: int = 5):
+    def __init__(self, df: DataFrame, buckets: int = 20, levels: int = 5, dedupe: bool = True):
+        self.dedupe = dedupe
         n = df.count()
         cuts = pack(runs(df, F.col("t_lo")), max(1, -(-n // buckets))).groupBy("grp").agg(F.min("key").alias("b_lo")).orderBy("b_lo")
         first = [r["b_lo"] for r in cuts.collect()]  # one a bucket
@@ -155,7 +161,7 @@ class Replicating(Layout):
         return before(a, F.col("q_hi")) & after(b, F.col("q_lo")) & at_most(F.col("l_min"), F.col("d_max")) & at_least(F.col("l_max"), F.col("d_min"))
 
     def once(self, answers: DataFrame) -> DataFrame:
-        return answers.filter(self._owner())
+        return answers.filter(self._owner()) if self.dedupe else answers
 
     def _owner(self) -> Column:
         """The copy in the slot where the row, cut to the window, begins."""
@@ -164,7 +170,7 @@ class Replicating(Layout):
         return (at >= a) & (at < F.least(a + F.col("w"), F.col("b_hi")))
 
     def answers(self) -> Column:
-        return matches() & self._owner()
+        return matches() & self._owner() if self.dedupe else matches()
 
 
 class PackedTree(Layout):
@@ -285,6 +291,6 @@ def all_layouts(df: DataFrame, cell_rows: int = 50, g: int = 20, buckets: int =
     return {
         "scan": lambda: Scan(df), "start_first": lambda: build_grid(df, GridSpec(cell_rows, order=START_FIRST)), "duration_first": lambda: build_grid(df, GridSpec(cell_rows, order=DURATION_FIRST)),
         "ordered_duration": lambda: Ordered(df, "dur"), "ordered_start": lambda: Ordered(df, "t_lo"), "two_indexes": lambda: TwoIndexes(df), "interval_tree": lambda: IntervalTree(df),
-        "uniform_grid": lambda: UniformGrid(df, g), "replicating": lambda: Replicating(df, buckets, levels), "packed_tree": lambda: PackedTree(df, m), "packed_tree_box": lambda: PackedTree(df, m, refine=False),
+        "uniform_grid": lambda: UniformGrid(df, g), "replicating": lambda: Replicating(df, buckets, levels), "replicating_copies": lambda: Replicating(df, buckets, levels, dedupe=False), "packed_tree": lambda: PackedTree(df, m), "packed_tree_box": lambda: PackedTree(df, m, refine=False),
     }
 

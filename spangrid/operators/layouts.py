@@ -34,6 +34,15 @@ class Layout:
     def __init__(self, rows: DataFrame, groups: DataFrame, gid: list[str]):
         self.rows, self.groups, self.gid = rows, groups, gid
 
+    def settled(self) -> Layout:
+        """The layout with its rows written in the order of their groups, and its groups: what building it costs."""
+        from ..storage import written
+
+        n = int(self.rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+        self.rows = written(self.rows.repartitionByRange(n, *self.gid).sortWithinPartitions(*self.gid), self.name)
+        self.groups = written(self.groups, f"{self.name}-groups")
+        return self
+
     def meets(self) -> Column:
         """Whether a query (its columns) visits a group (its columns)."""
         return F.lit(True)

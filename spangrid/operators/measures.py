@@ -7,15 +7,32 @@ import math
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.predicates import in_band, in_window, matches, valid
+from ..functions.predicates import valid
 
 
 def selectivity(df: DataFrame, queries: DataFrame) -> DataFrame:
-    """qid, n, time_hits, dur_hits, both_hits from one pass over two histograms and one of pairs (start, length)."""
-    pairs = df.groupBy("t_lo", "t_hi", "dur").agg(F.count("*").alias("c"))
-    few = F.broadcast(queries)
-    hit = lambda cond: F.coalesce(F.sum(F.when(cond, F.col("c"))), F.lit(0)).cast("long")
-    return few.join(pairs, how="cross").groupBy("qid").agg(F.sum("c").cast("long").alias("n"), hit(in_window()).alias("time_hits"), hit(in_band()).alias("dur_hits"), hit(matches()).alias("both_hits"))
+    """qid, n, time_hits, dur_hits, both_hits. Those of a window are rows that begin before its end less those that end by its begin,
+    those of a band come from ranks of the lengths, and those of both from a grid, so no row meets every query."""
+    from .grid import GridSpec, below, build_grid
+
+    n = df.count()
+    asked = queries.select("qid", "q_lo", "q_hi", "d_min", "d_max", valid().alias("ok"))
+
+    def under(keys: str, bound: Column, default: int) -> DataFrame:
+        """qid, how many keys lie under the bound; an open bound counts as default."""
+        probes = asked.select("qid", bound.cast("long").alias("x"))
+        known = below(df.select(F.col(keys).alias("x")), probes.filter("x is not null")).select("qid", F.col("n_below").alias("c"))
+        return known.unionByName(probes.filter("x is null").select("qid", F.lit(default).cast("long").alias("c")))
+
+    signs = [(under("t_lo", F.col("q_hi"), n), 1, 0), (under("t_hi", F.col("q_lo") + 1, 0), -1, 0), (under("dur", F.col("d_max") + 1, n), 0, 1), (under("dur", F.col("d_min"), 0), 0, -1)]
+    sums = None
+    for part, t, d in signs:
+        one = part.select("qid", (F.col("c") * t).alias("t"), (F.col("c") * d).alias("d"))
+        sums = one if sums is None else sums.unionByName(one)
+    sums = sums.groupBy("qid").agg(F.sum("t").alias("t"), F.sum("d").alias("d")).join(asked.select("qid", "ok"), "qid")
+    both = build_grid(df, GridSpec(max(2, math.isqrt(math.isqrt(n))))).count_batch(queries)
+    some = lambda c: F.when(F.col("ok"), F.col(c)).otherwise(0).cast("long")
+    return sums.join(both, "qid").select("qid", F.lit(n).cast("long").alias("n"), some("t").alias("time_hits"), some("d").alias("dur_hits"), F.col("matched").alias("both_hits"))
 
 
 def window_hits(df: DataFrame, queries: DataFrame) -> DataFrame:

@@ -18,7 +18,7 @@ from ..sources import intervals as src
 from ..sources import workload as wl
 from ..storage import written
 from ..streaming import streams
-from . import published, twins
+from . import published, studies, twins
 
 QUERIES: dict[str, Callable] = {}
 SQL: dict[str, str] = {}
@@ -207,6 +207,45 @@ for _kind, _seed in BATCH.items():
     for _m in METHODS:
         add(f"batch_counts_{_kind}__{_m}", twins.counts(R["presc"], _qsql))(lambda spark, sf, kind=_kind, m=_m: layout(spark, sf, "presc", m).count_batch(batch(spark, kind)))
 
+# robustness: every method on the other relations, with the ranges of their workloads -----------------------------------------
+
+SYNTHETIC = {"synthetic_uniform_zipf": ("uniform", "zipf"), "synthetic_skewed_uniform": ("skewed", "uniform")}
+SYNTHETIC_ROWS = 20_000
+RANGES = {  # window, its lengths, band, and the unit
+    "trips": ((28401120, 28444480), (1440, 44640), (1, 1440), 1), "gaps": ((1704067200, 1706745600), (60, 864000), (1, 518400), 1_000_000), "order_gaps": ((9131, 11535), (1, 365), (1, 1095), 1),
+    **dict.fromkeys(SYNTHETIC, ((1, SYNTHETIC_ROWS), (1, 2000), (1, 100), 1)),
+}
+
+
+def relation_of(spark, sf, name: str) -> DataFrame:
+    if name in SYNTHETIC:
+        return src.synthetic(spark, SYNTHETIC_ROWS, *SYNTHETIC[name])
+    return slim(spark, sf, name)
+
+
+def asked(spark, name: str, kind: str, m: int = 20) -> DataFrame:
+    *args, unit = RANGES[name]
+    return wl.random_queries(spark, kind, m, BATCH[kind], *args, unit=unit)
+
+
+def _every_method(spark, sf, name: str, kind: str) -> DataFrame:
+    q = asked(spark, name, kind)
+    make = lambda m: kept(spark, ("robust", sf, name, m), lambda: b.all_layouts(kept(spark, ("robust", sf, name), lambda: written(relation_of(spark, sf, name), name)), PAGE, G, NB, LEV, LEAF)[m]())
+    return _union([make(m).count_batch(q).select(F.lit(m).alias("method"), "qid", "matched") for m in METHODS])
+
+
+_EACH = ", ".join(f"('{m}')" for m in METHODS)
+for _rel in RANGES:
+    _relation = twins.synthetic(SYNTHETIC_ROWS, *SYNTHETIC[_rel]) if _rel in SYNTHETIC else R[_rel]
+    for _kind, _seed in BATCH.items():
+        *_args, _unit = RANGES[_rel]
+        _qsql = wl.random_queries_sql(_kind, 20, _seed, *_args, unit=_unit)
+        add(f"robust_counts_{_rel}_{_kind}", f"SELECT method, qid, matched FROM ({twins.counts(_relation, _qsql)}), (VALUES {_EACH}) m(method)")(lambda spark, sf, rel=_rel, kind=_kind: _every_method(spark, sf, rel, kind))
+for _rel, _shape in SYNTHETIC.items():
+    add(f"{_rel}_rows", f"SELECT t_lo, t_hi, dur, count(*) AS n FROM ({twins.synthetic(SYNTHETIC_ROWS, *_shape)}) GROUP BY ALL")(
+        lambda spark, sf, shape=_shape: src.synthetic(spark, SYNTHETIC_ROWS, *shape).groupBy("t_lo", "t_hi", "dur").agg(F.count("*").alias("n"))
+    )
+
 # meters ----------------------------------------------------------------------------------------------------------------------
 
 for _rel in ("presc", "trips"):
@@ -226,6 +265,11 @@ for _rel in ("presc", "trips"):
         lambda spark, sf, rel=_rel: layout(spark, sf, rel, "replicating").meter(wl.query_set(spark, MID[rel][:3])).select("qid", "examined", "matched")
     )
 
+for _rel in ("presc", "trips"):
+    add(f"replicating_copies_{_rel}", twins.meter_replicating(R[_rel], twins.literal(MID[_rel][:3]), NB, LEV, once=False))(
+        lambda spark, sf, rel=_rel: layout(spark, sf, rel, "replicating_copies").meter(wl.query_set(spark, MID[rel][:3])).select("qid", "examined", "matched")
+    )
+add("grid_few_keys", twins.describe(R["presc"], 10, "duration_first"))(lambda spark, sf: _described(spark, sf, "presc", 10, g.DURATION_FIRST))
 _POOR = twins.literal(MID["presc"][:3])
 add("poor_page_size_meter", twins.meter_grid(R["presc"], _POOR, 10, "start_first"))(lambda spark, sf: built(spark, sf, "presc", 10, g.START_FIRST).meter(wl.query_set(spark, MID["presc"][:3])))
 
@@ -261,7 +305,7 @@ add("selectivity_identity", f"SELECT CAST(qid AS BIGINT) AS qid, count(*) FILTER
 @add("selectivity_grid_achieved")
 def selectivity_grid_achieved(spark, sf):
     df = slim(spark, sf, "presc")
-    return measures.selectivity(df, written(wl.selectivity_grid(df, 16), "queries"))
+    return measures.selectivity(df, written(wl.selectivity_grid(df, 32), "queries"))
 
 
 # mixes -----------------------------------------------------------------------------------------------------------------------
@@ -330,6 +374,32 @@ add("scale_up_rows", f"SELECT count(*) AS n, CAST(min(t_lo) AS BIGINT) AS first,
 add("scale_up_constant_output", twins.counts(_SCALED, twins.literal([MID["presc"][0]])))(lambda spark, sf: g.build_grid(scaled(spark, sf, 5), g.GridSpec(PAGE)).count_batch(wl.query_set(spark, [MID["presc"][0]])))
 add("scale_up_ordered_examined", twins.meter_simple(_SCALED, twins.literal([MID["presc"][0]]), twins.BAND))(lambda spark, sf: b.Ordered(scaled(spark, sf, 5)).meter(wl.query_set(spark, [MID["presc"][0]])).select("qid", "examined", "matched"))
 
+# timed studies: rows and columns are what they are at every run, the seconds are the machine's ---------------------------------
+
+
+@add("study_robustness")
+def study_robustness(spark, sf):
+    """Two of the relations and four of the methods; studies.robustness takes any."""
+    names = ("trips", "order_gaps")
+    queries = {n: {k: asked(spark, n, k) for k in BATCH} for n in names}
+    return studies.robustness({n: relation_of(spark, sf, n) for n in names}, queries, ("duration_first", "uniform_grid", "interval_tree", "ordered_duration"), PAGE)
+
+
+@add("study_time_per_query")
+def study_time_per_query(spark, sf):
+    methods = ("duration_first", "scan", "ordered_duration")
+    return studies.per_query({m: stored(spark, sf, m) if m in studies.GRIDS else layout(spark, sf, "presc", m) for m in methods}, wl.query_set(spark, MID["presc"][:3]), 2)
+
+
+for _by in ("random", "append"):
+    add(f"study_insertion_{_by}")(lambda spark, sf, by=_by: studies.insertion(slim(spark, sf, "trips"), 2500 if by == "append" else 5000, 20, by, 500))
+
+
+@add("study_scale_up")
+def study_scale_up(spark, sf):
+    return studies.scale(slim(spark, sf, "trips"), (1, 10), 50_000, wl.query_set(spark, MID["trips"]), ("duration_first", "ordered_duration"), PAGE)
+
+
 # maintenance -----------------------------------------------------------------------------------------------------------------
 
 _ALL = twins.counts(R["trips"], twins.literal(MID["trips"]))

@@ -13,6 +13,18 @@ RELATIONS = {
     "utterances": "SELECT t_lo, t_hi, t_hi - t_lo AS dur, conv_id, turn FROM (SELECT conv_id, turn, sum(length(text)) OVER (PARTITION BY conv_id ORDER BY turn) - length(text) AS t_lo, sum(length(text)) OVER (PARTITION BY conv_id ORDER BY turn) AS t_hi FROM conversations) WHERE t_hi > t_lo",
 }
 
+
+def synthetic(n: int, starts: str, lengths: str, most: int = 100, seed: int = 7) -> str:
+    """The generated relations, by the same integer generator."""
+    from ..sources.intervals import zipf_cuts
+
+    x = lambda salt: f"((id * 48271 + {seed * 16807 + salt * 69621}) * 40692) % 2147483647"
+    lo = f"u % {n} + 1"
+    lo = f"CAST(floor(({lo}) * ({lo}) / {n}.0) AS BIGINT) + 1" if starts == "skewed" else lo
+    dur = f"len([c FOR c IN {zipf_cuts(most)} IF c < v]) + 1" if lengths == "zipf" else f"v % {most} + 1"
+    return f"SELECT id AS iv_id, t_lo, t_lo + dur AS t_hi, dur FROM (SELECT id, {lo} AS t_lo, CAST({dur} AS BIGINT) AS dur FROM (SELECT id, {x(1)} AS u, {x(2)} AS v FROM range({n}) r(id)))"
+
+
 VALID = "(q_lo IS NULL OR q_hi IS NULL OR q_lo < q_hi) AND (d_min IS NULL OR d_max IS NULL OR d_min <= d_max)"
 WINDOW = f"{VALID} AND (q_hi IS NULL OR t_lo < q_hi) AND (q_lo IS NULL OR t_hi > q_lo)"
 BAND = f"{VALID} AND (d_min IS NULL OR dur >= d_min) AND (d_max IS NULL OR dur <= d_max)"
@@ -111,8 +123,9 @@ def meter_simple(relation: str, queries: str, reads: str, twice: str | None = No
     return f"SELECT CAST(qid AS BIGINT) AS qid, CAST(count(*) FILTER (WHERE {reads}){second} AS BIGINT) AS examined, CAST(count(*) FILTER (WHERE {MATCH}) AS BIGINT) AS matched FROM ({queries}) q, ({relation}) r GROUP BY qid"
 
 
-def meter_replicating(relation: str, queries: str, buckets: int, levels: int) -> str:
-    """qid, examined (copies read), matched."""
+def meter_replicating(relation: str, queries: str, buckets: int, levels: int, once: bool = True) -> str:
+    """qid, examined (copies read), matched (rows, or copies if not ``once``)."""
+    owner = "AND greatest(t_lo, coalesce(q_lo, t_lo)) >= a AND greatest(t_lo, coalesce(q_lo, t_lo)) < b" if once else ""
     return f"""WITH RECURSIVE base AS ({relation}), size AS (SELECT CAST(ceil(count(*) / {buckets}.0) AS BIGINT) AS b FROM base),
 c_k AS (SELECT key, n, row_number() OVER (ORDER BY key) AS i FROM (SELECT t_lo AS key, count(*) AS n FROM base GROUP BY 1)),
 c_w AS (SELECT i, n AS fill, 0 AS g FROM c_k WHERE i = 1 UNION ALL SELECT k.i, CASE WHEN w.fill + k.n > b THEN k.n ELSE w.fill + k.n END, CASE WHEN w.fill + k.n > b THEN w.g + 1 ELSE w.g END FROM c_w w JOIN c_k k ON k.i = w.i + 1, size),
@@ -123,5 +136,5 @@ own AS (SELECT base.t_lo, base.t_hi, base.dur, s.bucket, s.b_lo, s.b_hi, greates
 copies AS (SELECT own.*, s.w, unnest(range((greatest(t_lo, own.b_lo) - own.b_lo) // s.w, (least(t_hi, own.b_hi) - 1 - own.b_lo) // s.w + 1)) AS slot FROM own JOIN slots s ON s.bucket = own.bucket AND s.level = own.level),
 band AS (SELECT bucket, level, min(dur) AS l_min, max(dur) AS l_max FROM copies GROUP BY 1, 2),
 slotted AS (SELECT c.*, c.b_lo + slot * w AS a, least(c.b_lo + slot * w + w, c.b_hi) AS b, l_min, l_max FROM copies c JOIN band USING (bucket, level))
-SELECT CAST(qid AS BIGINT) AS qid, CAST(count(*) AS BIGINT) AS examined, CAST(count(*) FILTER (WHERE {MATCH} AND greatest(t_lo, coalesce(q_lo, t_lo)) >= a AND greatest(t_lo, coalesce(q_lo, t_lo)) < b) AS BIGINT) AS matched
+SELECT CAST(qid AS BIGINT) AS qid, CAST(count(*) AS BIGINT) AS examined, CAST(count(*) FILTER (WHERE {MATCH} {owner}) AS BIGINT) AS matched
 FROM ({queries}) q JOIN slotted ON (q_hi IS NULL OR a < q_hi) AND (q_lo IS NULL OR b > q_lo) AND (d_max IS NULL OR l_min <= d_max) AND (d_min IS NULL OR l_max >= d_min) GROUP BY qid"""

@@ -15,26 +15,26 @@ def draw(i, seed: int):
     return (i * F.lit(48271) + F.lit(seed * 16807)) % F.lit(M)
 
 
-def random_queries(spark: SparkSession, kind: str, m: int, seed: int, window: tuple[int, int], lengths: tuple[int, int], band: tuple[int, int]) -> DataFrame:
-    """m queries of a kind: windows of a length in ``lengths`` inside ``window``, bands with both ends in ``band``."""
+def random_queries(spark: SparkSession, kind: str, m: int, seed: int, window: tuple[int, int], lengths: tuple[int, int], band: tuple[int, int], unit: int = 1) -> DataFrame:
+    """m queries of a kind: windows of a length in ``lengths`` inside ``window``, bands with both ends in ``band``, all in units."""
     (a, b), (l0, l1), (d0, d1) = window, lengths, band
     x = lambda k: draw(F.col("id") * 5 + k, seed)
     q = spark.range(m).select(F.col("id").alias("qid"), *[x(k).alias(f"x{k}") for k in range(5)])
     length = F.lit(l0) + F.col("x0") % F.lit(l1 - l0 + 1)
     lo = F.lit(a) + F.col("x1") % F.lit(max(1, b - a))
     d, e = F.lit(d0) + F.col("x2") % F.lit(d1 - d0 + 1), F.lit(d0) + F.col("x3") % F.lit(d1 - d0 + 1)
-    some = lambda c, on: (c if on else F.lit(None)).cast("long")
+    some = lambda c, on: (c * F.lit(unit) if on else F.lit(None)).cast("long")
     w, h = kind in ("range", "both"), kind in ("duration", "both")
     return q.select("qid", F.lit(kind).alias("kind"), some(lo, w).alias("q_lo"), some(F.least(lo + length, F.lit(b)), w).alias("q_hi"), some(F.least(d, e), h).alias("d_min"), some(F.greatest(d, e), h).alias("d_max"))
 
 
-def random_queries_sql(kind: str, m: int, seed: int, window: tuple[int, int], lengths: tuple[int, int], band: tuple[int, int]) -> str:
+def random_queries_sql(kind: str, m: int, seed: int, window: tuple[int, int], lengths: tuple[int, int], band: tuple[int, int], unit: int = 1) -> str:
     """The same set in SQL."""
     (a, b), (l0, l1), (d0, d1) = window, lengths, band
     x = ", ".join(f"((id * 5 + {k}) * 48271 + {seed * 16807}) % {M} AS x{k}" for k in range(5))
     w, h = kind in ("range", "both"), kind in ("duration", "both")
     lo, d, e = f"{a} + x1 % {max(1, b - a)}", f"{d0} + x2 % {d1 - d0 + 1}", f"{d0} + x3 % {d1 - d0 + 1}"
-    some = lambda v, on: f"CAST({v if on else 'NULL'} AS BIGINT)"
+    some = lambda v, on: f"CAST({f'({v}) * {unit}' if on else 'NULL'} AS BIGINT)"
     return f"SELECT id AS qid, '{kind}' AS kind, {some(lo, w)} AS q_lo, {some(f'least({lo} + {l0} + x0 % {l1 - l0 + 1}, {b})', w)} AS q_hi, {some(f'least({d}, {e})', h)} AS d_min, {some(f'greatest({d}, {e})', h)} AS d_max FROM (SELECT id, {x} FROM range({m}) r(id))"
 
 

@@ -106,6 +106,8 @@ def in_batches(df: DataFrame, batches: int, order: str = "random") -> list[DataF
     """df cut into batches: by a hash of the id (random), or by increasing start (append)."""
     if order == "random":
         return [df.filter(F.pmod(F.xxhash64("iv_id"), F.lit(batches)) == i) for i in range(batches)]
+    if batches == 1:
+        return [df]
     cuts = df.approxQuantile("t_lo", [i / batches for i in range(1, batches)], 0.001)
     edges = [None, *cuts, None]
     part = lambda a, b: df.filter((F.lit(True) if a is None else F.col("t_lo") >= a) & (F.lit(True) if b is None else F.col("t_lo") < b))

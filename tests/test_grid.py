@@ -70,6 +70,40 @@ def test_insert_and_remove(df, queries, order):
     assert counts(maintain.remove(grid, rest), queries) == counts(baselines.Scan(some), queries)
 
 
+def test_appends_leave_the_files_of_earlier_columns(spark):
+    """Rows by increasing start restructure only the last column; the others stay in the files they are in."""
+    rows = lambda a, b: spark.range(a, b).select(F.col("id").alias("iv_id"), F.col("id").alias("t_lo"), (F.col("id") + 1 + F.col("id") % 7).alias("t_hi"), (1 + F.col("id") % 7).alias("dur"))
+    grid = maintain.insert(build_grid(rows(0, 200), GridSpec(5, order=START_FIRST)), rows(200, 210))
+    ids = lambda g: [r[0] for r in g.columns.orderBy("min_key").select("col_id").collect()]
+    last = ids(grid)[-1]
+    files = lambda g, cols: {r[0] for r in g.rows.filter(F.col("col_id").isin(cols)).select(F.input_file_name()).distinct().collect()}
+    before = {c: files(grid, [c]) for c in ids(grid)}
+    after = maintain.insert(grid, rows(210, 230))
+    fresh = set(ids(after)) - set(before)
+    assert set(after.moved) <= fresh | {last} and {r[0] for r in maintain.rewritten(grid, after).collect()} <= fresh | {last}
+    assert all(files(after, [c]) == before[c] for c in before if c != last)
+    assert counts(after, query_set(spark, [(1, "range", 0, 500, None, None), (2, "both", 100, 215, 2, 3)])) == [(1, 230), (2, len([i for i in range(230) if i < 215 and i + 1 + i % 7 > 100 and 2 <= 1 + i % 7 <= 3]))]
+    less = maintain.remove(after, rows(0, 10))
+    assert last not in less.moved and counts(less, query_set(spark, [(1, "range", 0, 500, None, None)])) == [(1, 220)]
+    for _ in range(2):
+        maintain.MOST_LAYERS, was = 1, maintain.MOST_LAYERS
+        try:
+            less = maintain.insert(less, rows(230, 232).withColumn("iv_id", F.col("iv_id") + 1000))
+        finally:
+            maintain.MOST_LAYERS = was
+    assert less.layers == 1 and counts(less, query_set(spark, [(1, "range", 0, 500, None, None)])) == [(1, 224)]
+
+
+def test_examined_rows_stay_within_the_bound(df, queries):
+    """Rows read and pages compared, against the bound of a query, with its constant."""
+    from spangrid.operators.measures import query_bound
+
+    n = df.count()
+    for s in (5, 20):
+        for r in build_grid(df, GridSpec(s)).meter(queries).collect():
+            assert r["examined"] + r["cells_visited"] <= 4 * query_bound(n, s, r["matched"]) + 50 * s
+
+
 def test_identical_rows_and_a_new_key(spark):
     rows = [(i, 10, 13, 3) for i in range(5)]
     grid = maintain.insert(build_grid(spark.createDataFrame(rows, ROWS), GridSpec(2)), spark.createDataFrame([(6, 10, 13, 3), (7, 10, 14, 4), (8, 2, 3, 1)], ROWS))
