@@ -34,7 +34,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .flat import BYTE_CODE, LOWER, Texts, mix, per_text, prefix_hash, span_hash, texts_of
-from .tables import remainder, written
+from .tables import forget, release, remainder, written
 
 FOLDS, DEPTH, TOKENS = 10, 3, 3
 #: Symbols: the end, the start, 16 classes of longer characters, 26 last letters, digits, others.
@@ -52,9 +52,9 @@ END_WORD, START_WORD, AS_CONTEXT = np.uint64(0x454E44), np.uint64(0x5354415254),
 
 
 class Sequence:
-    """The token sequences of a slice: words' fingerprints and symbols, each text closed by the end token."""
+    """The token sequences of a slice: words' fingerprints and, if ``forms``, symbols, each text closed by the end token."""
 
-    def __init__(self, t: Texts):
+    def __init__(self, t: Texts, forms: bool = True):
         low = LOWER[t.data]
         s, e, at = t.words(low)
         n = np.diff(at)
@@ -63,33 +63,34 @@ class Sequence:
         prefix = prefix_hash(BYTE_CODE[low])
         self.word = np.full(self.at[-1], END_WORD, np.uint64)
         self.word[place] = span_hash(prefix, s, e)
+        self.text = np.repeat(np.arange(len(t)), n + 1)
+        self.since = np.arange(self.at[-1]) - self.at[self.text]
+        self.key = mix(span_hash(prefix, t.cuts[:-1], t.cuts[1:]))
+        if not forms:
+            return
         self.symbol = np.full(self.at[-1], END, np.int64)
         if len(s):
             self.symbol[place] = self._classes(low, s, e)
-        self.text = np.repeat(np.arange(len(t)), n + 1)
-        since = np.arange(self.at[-1]) - self.at[self.text]
         self.code = self.symbol.copy()  # of the symbol after its DEPTH predecessors
         self.context = np.zeros_like(self.code)
         for d in range(1, DEPTH + 1):
             before = np.full_like(self.symbol, START)
             before[d:] = self.symbol[: len(before) - d]
-            before[since < d] = START
+            before[self.since < d] = START
             self.context += before * ALPHABET ** (d - 1)
         self.code += self.context * ALPHABET
-        self.key = mix(span_hash(prefix, t.cuts[:-1], t.cuts[1:]))
 
     def token_contexts(self) -> Iterator[tuple[int, np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
         """For each length: the length, places that have such a context, and there the keys of the context, of the context with
         the token that follows, and of its suffix with that token. A key with a token is that of the longer context after it."""
-        since = np.arange(self.at[-1]) - self.at[self.text]
         last = self.word
         for d in range(1, TOKENS + 1):
             context = np.empty_like(last)
             context[1:] = last[:-1]
             if d == 1:
-                context[since == 0] = START_WORD
+                context[self.since == 0] = START_WORD
             key = mix(mix(context + np.uint64(d)) ^ last)
-            place = np.flatnonzero(since >= d - 1)
+            place = np.flatnonzero(self.since >= d - 1)
             yield d, place, context[place], key[place], last[place]
             last = key
 
@@ -211,10 +212,10 @@ def _followed(docs: DataFrame, depth: int, among: Bits, often_enough: Bits) -> D
 
         for batch in batches:
             for t in texts_of(batch.column("text")):
-                for d, _, x, k, y in Sequence(t).token_contexts():
-                    if d == depth:
-                        in_ = shared.value[0].has(x) & shared.value[1].has(y)
-                        some.append((k[in_], x[in_], y[in_]))
+                _, _, x, k, y = next(c for c in Sequence(t, forms=False).token_contexts() if c[0] == depth)
+                in_ = shared.value[0].has(x)
+                in_[in_] = shared.value[1].has(y[in_])
+                some.append((k[in_], x[in_], y[in_]))
                 if sum(len(c[0]) for c in some) >= HAND_ON:
                     yield from hand_on()
         yield from hand_on()
@@ -251,6 +252,7 @@ def _token_states(docs: DataFrame, words: DataFrame, total: int, distinct: int,
             (F.col("n") * (F.log(F.col("n") / F.col("total")) - F.col("up"))).alias("g"), F.exp("up").alias("q"),
         )
         here = written(valued, "contexts")
+        forget(seen)
         rest = F.col("total") - F.col("s")
         cells = F.col("kinds") + (rest > 0).cast("int")
         other = F.when(rest > 0, rest * F.log(rest / (F.col("total") * F.greatest(F.lit(1e-12), 1 - F.col("q"))))).otherwise(0.0)
@@ -260,6 +262,7 @@ def _token_states(docs: DataFrame, words: DataFrame, total: int, distinct: int,
         tables.append(here)
         stay.append(written(contexts, "tested"))
         above = here.select("k", "n", "lp")
+        release(docs.sparkSession)
     out = None
     longer = None  # suffixes of what stays
     for d in range(len(tables) - 1, -1, -1):
@@ -270,7 +273,12 @@ def _token_states(docs: DataFrame, words: DataFrame, total: int, distinct: int,
         out = both if out is None else out.unionByName(both)
         if d:
             longer = tables[d - 1].join(kept.select(F.col("x").alias("k")), "k", "left_semi").select(F.col("y").alias("x"))
-    return None if out is None else written(out, "states")
+    if out is None:
+        return None
+    states = written(out, "states")
+    forget(*tables, *stay)
+    release(docs.sparkSession)
+    return states
 
 
 def _most_frequent(table: DataFrame, most: int) -> DataFrame | None:
@@ -344,10 +352,11 @@ def score_documents(docs: DataFrame) -> DataFrame:
                     swap = np.where(last, value, 0.0) - log_all - model
                     for d, place, x, y, _ in q.token_contexts():
                         for at, extra in ((x ^ AS_CONTEXT, swap[place] if d == 1 else np.zeros(len(place))), (y, np.zeros(len(place)))):
-                            k, hit = _found(at.view(np.int64), keys)
-                            if hit.any():
-                                score = score + np.bincount(q.text[place[hit]], values[k[hit]] + extra[hit], n)
-                            far = np.flatnonzero(~hit & bits.has(at))
+                            may = np.flatnonzero(bits.has(at))
+                            k, hit = _found(at[may].view(np.int64), keys)
+                            near, far = may[hit], may[~hit]
+                            if len(near):
+                                score = score + np.bincount(q.text[place[near]], values[k[hit]] + extra[near], n)
                             asked.append((at[far].view(np.int64), q.text[place[far]], extra[far]))
                 ask, of, extra = (np.concatenate(c) for c in zip(*asked))
                 order = np.lexsort((ask, of))

@@ -26,6 +26,12 @@ def widened(df: DataFrame, **types: str) -> str:
     return ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in df.schema.fields), *(f"{k} {v}" for k, v in types.items())])
 
 
+def release(spark: SparkSession) -> None:
+    """Lets Spark delete the shuffle files of plans that nothing holds any more: it does so when the driver collects garbage, which
+    a driver with little to do may not do for half an hour while executors' disks fill."""
+    spark.sparkContext._jvm.System.gc()
+
+
 def flagged(df: DataFrame, column: str, keys: DataFrame, into: str) -> DataFrame:
     """df with ``into``: false only where the long ``column`` is surely none of keys' (one column), by a shared bitmap.
 
