@@ -33,7 +33,7 @@ from .hashed import Softmax
 from .tables import forget, written
 
 #: Labelled documents of each domain that the classifier learns from, at most.
-PER_DOMAIN = 250
+PER_DOMAIN, SPARE = 250, 3
 OTHER = "other"
 RIDGE, STEPS, PATIENCE, STATE_EVERY, CLOSE = 1e-2, 200, 20, 10, 1e-3
 
@@ -42,13 +42,19 @@ def learn(docs: DataFrame, labels: DataFrame, domains: list[str]) -> Softmax | N
     """The classifier of rows (doc_id, text, domain) into the domains and OTHER, from labelled rows, those first in a hash's order."""
     known = labels.filter("doc_id is not null").select(F.col("doc_id").cast("long").alias("_d")).distinct()
     own = F.when(F.col("domain").isin(domains), F.col("domain")).otherwise(OTHER)
-    # ids only, so that what moves is short; a task keeps no more of a class than its sample holds
+    # ids only, so that what moves is short
     rows = docs.filter("domain is not null").select(F.col("doc_id").alias("_d"), own.alias("_y")).join(known, "_d", "left_semi")
-    rows = rows.groupBy("_d").agg(F.min("_y").alias("_y"))
+    rows = written(rows.groupBy("_d").agg(F.min("_y").alias("_y")), "domains")
+    # of a class of n rows, hashes up to SPARE * PER_DOMAIN / n hold its first PER_DOMAIN (fewer with a probability under 1e-90), however large n
+    n = {r["_y"]: r["count"] for r in rows.groupBy("_y").count().collect()}  # one a class
+    if not n:
+        return None
+    least = F.create_map(*(F.lit(x) for c, many in n.items() for x in (c, SPARE * PER_DOMAIN / many)))[F.col("_y")]
     first = F.row_number().over(Window.partitionBy("_y").orderBy(F.xxhash64("_d"), "_d"))
-    some = rows.withColumn("_r", first).filter(F.col("_r") <= PER_DOMAIN)
+    some = rows.filter(F.xxhash64("_d") / F.lit(2.0**64) + 0.5 <= least).withColumn("_r", first).filter(F.col("_r") <= PER_DOMAIN)
     texts = docs.withColumn("_o", own).join(F.broadcast(some), (F.col("doc_id") == F.col("_d")) & (F.col("_o") == F.col("_y")))
     texts = texts.select("doc_id", F.coalesce("text", F.lit("")).alias("text"), "_y").toPandas().sort_values(["doc_id", "text"]).drop_duplicates("doc_id")
+    forget(rows)
     classes = [c for c in dict.fromkeys([*domains, OTHER]) if (texts["_y"] == c).any()]
     if len(classes) < 2:
         return None
