@@ -350,14 +350,20 @@ def score_documents(docs: DataFrame) -> DataFrame:
                 if bits is not None:
                     # from the word-form tree to the base score, from which token contexts go on
                     swap = np.where(last, value, 0.0) - log_all - model
+                    open_ = np.ones(len(h), bool)
                     for d, place, x, y, _ in q.token_contexts():
-                        for at, extra in ((x ^ AS_CONTEXT, swap[place] if d == 1 else np.zeros(len(place))), (y, np.zeros(len(place)))):
-                            may = np.flatnonzero(bits.has(at))
-                            k, hit = _found(at[may].view(np.int64), keys)
-                            near, far = may[hit], may[~hit]
-                            if len(near):
-                                score = score + np.bincount(q.text[place[near]], values[k[hit]] + extra[near], n)
-                            asked.append((at[far].view(np.int64), q.text[place[far]], extra[far]))
+                        # suffixes of what stays stay, and only what stays has bonuses: the bitmap is asked on along such chains alone
+                        on = open_[place]
+                        on[on] = bits.has(x[on] ^ AS_CONTEXT)
+                        place, x, y = place[on], x[on] ^ AS_CONTEXT, y[on]
+                        open_ = np.zeros(len(h), bool)
+                        open_[place] = True
+                        seen = bits.has(y)
+                        for at, of, extra in ((x, place, swap[place] if d == 1 else np.zeros(len(place))), (y[seen], place[seen], np.zeros(seen.sum()))):
+                            k, hit = _found(at.view(np.int64), keys)
+                            if hit.any():
+                                score = score + np.bincount(q.text[of[hit]], values[k[hit]] + extra[hit], n)
+                            asked.append((at[~hit].view(np.int64), q.text[of[~hit]], extra[~hit]))
                 ask, of, extra = (np.concatenate(c) for c in zip(*asked))
                 order = np.lexsort((ask, of))
                 ask, of, extra = ask[order], of[order], extra[order]
