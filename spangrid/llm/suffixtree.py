@@ -205,6 +205,8 @@ def _followed(docs: DataFrame, depth: int, among: Bits, often_enough: Bits) -> D
             if some:
                 k, x, y = (np.concatenate(c) for c in zip(*some))
                 _, first, n = np.unique(k, return_index=True, return_counts=True)
+                order = np.argsort(x[first])  # equal contexts side by side, so that shuffle files hold them compressed
+                first, n = first[order], n[order]
                 for a in range(0, len(first), 1 << 16):
                     f = first[a : a + (1 << 16)]
                     yield pa.RecordBatch.from_arrays([pa.array(x[f].view(np.int64)), pa.array(y[f].view(np.int64)), pa.array(n[a : a + (1 << 16)])], names=names[1:])
