@@ -154,6 +154,30 @@ def test_rangejoin(spark, monkeypatch, sf):
     assert rangejoin.near_vectors(df.limit(0)).isEmpty()
 
 
+def test_rangejoin_in_rounds(spark, monkeypatch):
+    """No round moves more than one copy of the vectors and one slice's, whatever all rounds move, and single precision stays so."""
+    rng = np.random.default_rng(5)
+    x = (rng.normal(size=(300, 12)) + 2 * rng.normal(size=(20, 12))[rng.integers(0, 20, 300)]).astype(np.float32)
+    for name, v in (("CELL", 30), ("HOMES", 500), ("PROBES", 500), ("COPIES", 1), ("LEAST_BYTES", 0)):
+        monkeypatch.setattr(rangejoin, name, v)
+    moved, sent, widths = [], rangejoin._sent, set()
+
+    def spied(dealt, *more):
+        out = sent(dealt, *more)
+        moved.append(out.count())
+        widths.update(r[0] for r in out.selectExpr("length(v)").distinct().collect())
+        return out
+
+    monkeypatch.setattr(rangejoin, "_sent", spied)
+    got = sorted(tuple(r)[:2] for r in rangejoin.near_vectors(spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<float>")).collect())
+    u = x.astype(float)
+    u /= np.linalg.norm(u, axis=1)[:, None]
+    hit = u @ u.T >= 0.95
+    np.fill_diagonal(hit, False)
+    assert hit.any() and got == [(i, int(n)) for i, n in enumerate(hit.sum(1))]
+    assert len(moved) > 1 and sum(moved) > 300 and max(moved) <= 600 and widths == {48}
+
+
 def test_rangejoin_of_mixed_lengths(spark):
     """Vectors link within their own length, whichever length is most frequent."""
     rows = [(i, [1.0, 0.01 * i, 0.0]) for i in range(5)] + [(10 + i, [0.0, 1.0, 0.01 * i, 0.0]) for i in range(3)] + [(20, [1.0, 0.0]), (21, [1.0, 0.0]), (22, [0.0, 1.0]), (30, [1.0] * 9), (31, [1.0] * 9)]
