@@ -125,3 +125,31 @@ def test_inserting_tree():
         tree.insert(*p)
     want = sorted(p for p in pts if p[0] < 400 and p[0] + p[1] > 300 and 5 <= p[1] <= 20)
     assert sorted(tree.find(300, 400, 5, 20)) == want and tree.splits > 0
+
+
+def test_two_indexes_intersect_only_where_both_bound(spark, df, queries):
+    """A query of one dimension takes the candidates of its own order and meets no other row."""
+    index = baselines.TwoIndexes(df)
+    for kind in ("range", "duration"):
+        one = queries.filter(F.col("kind") == kind)
+        assert "replicaterows" not in index.find_batch(one)._jdf.queryExecution().optimizedPlan().toString().lower()
+        assert counts(index, one) == counts(baselines.Scan(df), one)
+    assert counts(index, queries) == counts(baselines.Scan(df), queries)
+
+
+def test_removals_cut_all_merged_columns_in_one_job(spark, monkeypatch):
+    rows = spark.range(3000).selectExpr("id AS iv_id", "id AS t_lo", "id + 1 + id % 7 AS t_hi", "1 + id % 7 AS dur")
+    grid = build_grid(rows, GridSpec(6, order=START_FIRST))
+    packs = []
+    pack = maintain.pack
+    monkeypatch.setattr(maintain, "pack", lambda *a, **k: packs.append(1) or pack(*a, **k))
+    less = maintain.remove(grid, rows.filter("iv_id % 5 <> 0"))
+    assert less.columns.count() < grid.columns.count() / 2 and len(packs) == 1
+    assert less.rows.count() == 600 and less.pages.agg(F.sum("n")).first()[0] == 600
+
+
+def test_sweep_holds_one_grid_at_a_time(spark, sf):
+    """What is returned reads six written answers; no joins of six grids are planned at once."""
+    from spangrid.plans import catalog
+
+    assert "Join" not in catalog.QUERIES["page_sweep_examined"](spark, sf)._jdf.queryExecution().optimizedPlan().toString()
