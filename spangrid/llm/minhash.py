@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 
 from .components import components, least_labels
 from .flat import BYTE_CODE, LOWER, SLICE_BYTES, Texts, mix, per_text, prefix_hash, span_hash, texts_of
-from .tables import forget, sifted, written
+from .tables import flagged, forget, sifted, written
 
 BANDS, ROWS, BITS = 28, 4, 8
 HASHES = BANDS * ROWS
@@ -259,9 +259,11 @@ def keep_one(docs: DataFrame, k: int = 5, least: int = 80) -> DataFrame:
     names = [f"x{i}" for i in range(len(docs.columns))]  # so that no column is taken for another
     own, text = (names[docs.columns.index(c)] for c in ("doc_id", "text"))
     found = written(near_duplicates(docs.select("doc_id", "text"), k, least).select("doc_id", "kept"), "found")
-    rows = docs.toDF(*names)
-    gone = found.filter("not kept").select(F.col("doc_id").alias("gone"))
-    left = rows.join(gone, F.col(own).cast("long") == F.col("gone"), "left_anti")
+    gone = written(found.filter("not kept").select(F.col("doc_id").alias("gone")), "gone")
+    # only rows that the bitmap takes for gone may move to meet the ids; the others stay where they are
+    rows = flagged(docs.toDF(*names), own, gone, "_maybe")
+    met = rows.filter("_maybe").join(gone, F.col(own).cast("long") == F.col("gone"), "left_anti")
+    left = rows.filter("not _maybe").unionByName(met).drop("_maybe")
     if not found.filter("doc_id is not null").groupBy("doc_id").count().filter("count > 1").isEmpty():
         left = left.filter(F.col(own).isNotNull()).dropDuplicates([own, text]).unionByName(left.filter(F.col(own).isNull()))
     return left.toDF(*docs.columns)
