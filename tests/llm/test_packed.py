@@ -17,6 +17,15 @@ def test_pieces_give_back_their_columns():
     assert list(packed.cut(packed.bucket(keys, 0))) == [(0, slice(0, 5000))] and not list(packed.cut(keys[:0]))
 
 
+def test_places():
+    rng = np.random.default_rng(4)
+    for n in (0, 1, 5000):
+        keys = np.unique(np.concatenate([rng.integers(0, 1 << 63, n).astype(np.uint64) * np.uint64(2), np.arange(min(n, 50), dtype=np.uint64)]))
+        asked = np.concatenate([keys, keys + np.uint64(1), np.array([0, 2**64 - 1], np.uint64)])
+        k, hit = suffixtree.Places(keys).find(asked)
+        assert (hit == np.isin(asked, keys)).all() and (keys[k[hit]] == asked[hit]).all() and (not n or k.max() <= len(keys))
+
+
 def test_suffixtree_in_many_pieces(spark, monkeypatch):
     """Scores do not depend on how many pieces leave a task, which words are shared, or into how many buckets pieces go; a few hundred rows move, not one for each pair."""
     texts = ["xa ya za wa", "za wa xa ya nu", "xa ya wa za xa ya", "", None, "rare xa ya"]
