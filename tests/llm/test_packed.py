@@ -1,6 +1,9 @@
+import pickle
+
 import numpy as np
 from pyspark.sql import functions as F
 
+from spangrid import storage
 from spangrid.llm import packed, suffixtree
 
 
@@ -46,3 +49,45 @@ def test_suffixtree_in_many_pieces(spark, monkeypatch):
     monkeypatch.setattr(suffixtree, "SHARED_STATES", 0)
     assert np.allclose(scores(), want, rtol=0, atol=1e-6, equal_nan=True)
     docs.unpersist()
+
+
+def test_shared_keys_travel_packed():
+    """What is shared with tasks is one file on each executor's disk, so keys go as differences and where they begin is found anew."""
+    keys = np.unique(np.random.default_rng(5).integers(0, 1 << 63, 100_000).astype(np.uint64) * np.uint64(2))
+    places = suffixtree.Places(keys)
+    sent = pickle.dumps(places)
+    assert len(sent) < 8 * len(keys)
+    got = pickle.loads(sent)
+    assert (got.keys == places.keys).all() and (got.start == places.start).all() and got.find(keys)[1].all()
+    bits = object.__new__(suffixtree.Bits)
+    bits.log, at = 22, np.unique(keys >> np.uint64(42))
+    bits.bits = np.packbits(np.isin(np.arange(1 << 22), at.astype(np.int64)), bitorder="little").view(np.uint64)
+    sent = pickle.dumps(bits)
+    assert len(sent) < bits.bits.nbytes // 2
+    got = pickle.loads(sent)
+    assert got.has(keys).all() and got.has(np.arange(1 << 22, dtype=np.uint64) << np.uint64(42)).sum() == len(at)
+
+
+def test_suffixtree_asks_in_rounds(spark, monkeypatch):
+    """Texts ask in rounds, each over before the next begins; only states and words that are not shared are listed, once; of what is written only scores stay."""
+    docs = spark.createDataFrame([(i, ("xa ya za wa", "za wa xa ya nu", f"xa ya rare{i}")[i % 3]) for i in range(600)], "doc_id long, text string").persist()
+    labels, gone = [], []
+
+    def written(df, label):
+        out = storage.written(df, label)
+        labels.append((label, out.count(), out._spangrid_at))
+        return out
+
+    monkeypatch.setattr(suffixtree, "written", written)
+    monkeypatch.setattr(suffixtree, "forget", lambda *tables: gone.extend(t._spangrid_at for t in tables) or storage.forget(*tables))
+    whole = suffixtree.score_documents(docs).toPandas().sort_values("doc_id")
+    assert [n for label, n, _ in labels if label == "scores"] == [600]
+    labels.clear(), gone.clear()
+    monkeypatch.setattr(suffixtree, "BUCKET", 8)
+    out = suffixtree.score_documents(docs).toPandas().sort_values("doc_id")
+    each = [n for label, n, _ in labels if label == "scores"]
+    assert len(each) == suffixtree._rounds(int(out["train_tokens"].iloc[0])) > 2 and sum(each) == 600 and max(each) < 400
+    assert [label for label, _, _ in labels].count("lists") == 1
+    assert {at for label, _, at in labels if label != "scores"} == set(gone)
+    assert np.allclose(out["score"], whole["score"], rtol=0, atol=1e-6) and (out["n_known"].to_numpy() == whole["n_known"].to_numpy()).all()
+    docs.unpersist()
