@@ -1,10 +1,11 @@
 import pickle
+import time
 
 import numpy as np
 from pyspark.sql import functions as F
 
 from spangrid import storage
-from spangrid.llm import packed, suffixtree
+from spangrid.llm import packed, suffixtree, tables
 
 
 def test_pieces_give_back_their_columns():
@@ -91,3 +92,26 @@ def test_suffixtree_asks_in_rounds(spark, monkeypatch):
     assert {at for label, _, at in labels if label != "scores"} == set(gone)
     assert np.allclose(out["score"], whole["score"], rtol=0, atol=1e-6) and (out["n_known"].to_numpy() == whole["n_known"].to_numpy()).all()
     docs.unpersist()
+
+
+def test_suffixtree_drops_shuffle_files(spark, monkeypatch):
+    """Shuffle files go as each query ends, not when the driver happens to collect its garbage; the session's setting comes back."""
+    docs = spark.createDataFrame([(i, ("xa ya za wa", "za wa xa ya nu", f"xa ya rare{i}")[i % 3]) for i in range(600)], "doc_id long, text string")
+    manager = spark._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager()
+
+    def left():
+        return {f.split("/")[-1] for f in manager.getAllFiles().mkString("\n").split("\n") if "/shuffle_" in f}
+
+    before, after, set_ = left(), [], spark.conf.get(tables.DROP_FILES)
+
+    def release(_):  # instead of a collection, a while for the executors' answers
+        for _ in range(50):
+            if not left() - before:
+                break
+            time.sleep(0.1)
+        after.append(left() - before)
+
+    monkeypatch.setattr(suffixtree, "release", release)
+    suffixtree.score_documents(docs).toPandas()
+    assert len(after) > 5 and not any(after)
+    assert spark.conf.get(tables.DROP_FILES) == set_
