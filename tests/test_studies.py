@@ -10,3 +10,18 @@ def test_every_method_takes_every_row(spark, sf, name):
 
     got = {r["method"]: r["n"] for r in catalog.QUERIES[name](spark, sf).groupBy("method").agg(F.sum("rows").alias("n")).collect()}
     assert got == dict.fromkeys(["start_first", "duration_first", "ordered_duration", "interval_tree", "inserting_tree"], 1000)
+
+
+def test_small_columns_share_files(spark):
+    """A batch that touches every column of a grid of small pages doesn't write a file for each; its cuts keep to the sizes."""
+    from spangrid.operators import maintain
+    from spangrid.operators.grid import DURATION_FIRST, START_FIRST, GridSpec, build_grid
+
+    rows = spark.range(2000).selectExpr("id AS iv_id", "id * 7919 % 3001 AS t_lo", "id * 7919 % 3001 + 1 + id % 97 AS t_hi", "1 + id % 97 AS dur")
+    for order in (START_FIRST, DURATION_FIRST):
+        some, rest, none = rows.filter("iv_id % 4 > 0"), rows.filter("iv_id % 4 = 0"), rows.filter("iv_id < 0")
+        grid = maintain.insert(build_grid(some, GridSpec(5, order=order)), rest)
+        assert len(grid.cuts.ids) > 60 and len(grid.rows.inputFiles()) <= 16
+        assert grid.rows.count() == 2000 == grid.pages.agg(F.sum("n")).first()[0]
+        assert not grid.pages.filter("n > 5 and min_lo < max_lo and min_dur < max_dur").count()
+        assert maintain.insert(grid, none).moved == []
