@@ -12,6 +12,23 @@ def test_every_method_takes_every_row(spark, sf, name):
     assert got == dict.fromkeys(["start_first", "duration_first", "ordered_duration", "interval_tree", "inserting_tree"], 1000)
 
 
+@pytest.mark.parametrize("order", ["random", "append"])
+def test_batches_are_written_once(spark, sf, order):
+    """Each row is in one batch, the one its id's hash or its start tells, and a batch reads only its own files."""
+    from spangrid.plans.catalog import slim
+    from spangrid.streaming.streams import in_batches
+
+    df = slim(spark, sf, "trips")
+    parts = in_batches(df, 5, order)
+    files = [set(p.inputFiles()) for p in parts]
+    assert all(files) and sum(map(len, files)) == len(set.union(*files)) and not any(f.endswith("events.parquet") for f in set.union(*files))
+    if order == "random":
+        assert [p.count() for p in parts] == [df.filter(F.pmod(F.xxhash64("iv_id"), F.lit(5)) == i).count() for i in range(5)]
+    else:
+        spans = [p.agg(F.count("*"), F.min("t_lo"), F.max("t_lo")).first() for p in parts]
+        assert sum(s[0] for s in spans) == 1000 and all(a[2] < b[1] for a, b in zip(spans, spans[1:]))
+
+
 def test_small_columns_share_files(spark):
     """A batch that touches every column of a grid of small pages doesn't write a file for each; its cuts keep to the sizes."""
     from spangrid.operators import maintain
